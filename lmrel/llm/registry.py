@@ -3,8 +3,9 @@
 from __future__ import annotations
 
 from .bpe import op2_byte_pair_codec
+from .media import op9_media_chunks
 from .mixing import op8_mixing_sources
 from .sharding import op10_sharding
 
-QUERIES = {f.__name__: f for f in (op2_byte_pair_codec, op8_mixing_sources, op10_sharding)}
+QUERIES = {f.__name__: f for f in (op2_byte_pair_codec, op8_mixing_sources, op9_media_chunks, op10_sharding)}
 ORACLES: dict[str, str] = {}
