@@ -78,9 +78,9 @@ def slabs(offsets: np.ndarray, limit: int = SLAB_BYTES) -> Iterator[tuple[int, i
         at = to
 
 
-def word_spans(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Start and end byte of each word, and the n + 1 word offsets of the texts."""
-    inside = ~_IS_SPACE[data]
+def word_spans(data: np.ndarray, offsets: np.ndarray, between: np.ndarray = _IS_SPACE) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Start and end byte of each word, and the n + 1 word offsets of the texts; ``between`` marks the bytes of no word."""
+    inside = ~between[data]
     first = inside.copy()
     first[1:] &= ~inside[:-1]
     last = inside.copy()

@@ -8,6 +8,7 @@ from .mixing import op8_mixing_sources
 from .sharding import op10_sharding
 from .topk import ORACLE as OP3_SQL
 from .topk import op3_exact_top_k
+from .toxicity import op1_toxicity
 
-QUERIES = {f.__name__: f for f in (op2_byte_pair_codec, op3_exact_top_k, op8_mixing_sources, op9_media_chunks, op10_sharding)}
+QUERIES = {f.__name__: f for f in (op1_toxicity, op2_byte_pair_codec, op3_exact_top_k, op8_mixing_sources, op9_media_chunks, op10_sharding)}
 ORACLES: dict[str, str] = {"op3_exact_top_k": OP3_SQL}
