@@ -19,7 +19,7 @@ import zstandard
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import reliable, table
 from .grams import mix, slabs, strings
 
 UNIT, RATE = 64, 8000
@@ -130,8 +130,8 @@ def _frames(docs: DataFrame) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "media binary, frames array<binary>")
 
 
-def chunk_store(docs: DataFrame, recipe: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """The store: each digest's frame once.  (packs, loans).
+def chunk_store(docs: DataFrame, recipe: DataFrame) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """The store: each digest's frame once.  (packs, loans, the borrowed places with their digests).
 
     A digest belongs to the medium that is least among its users.  A pack (media, frames, borrowed)
     holds the frames that its medium owns, null in place of the others, and which digests stand
@@ -141,25 +141,27 @@ def chunk_store(docs: DataFrame, recipe: DataFrame) -> tuple[DataFrame, DataFram
     once = recipe.groupBy("media").agg(F.first("chunks").alias("chunks"))
     use = once.select("media", F.posexplode("chunks").alias("at", "digest"))
     owners = use.groupBy("digest").agg(F.min(F.struct("media", "at")).alias("owner"), F.count(F.lit(1)).alias("users")).where("users > 1").select("digest", "owner")
-    shared = use.join(owners, "digest").withColumn("owns", (F.col("media") == F.col("owner.media")) & (F.col("at") == F.col("owner.at")))
+    shared = use.join(owners, "digest", "left").withColumn("owns", (F.col("media") == F.col("owner.media")) & (F.col("at") == F.col("owner.at")))
+    # every medium has notes (null owns: used once), so all joins are inner and the frames move once
     notes = shared.groupBy("media").agg(F.collect_list(F.struct("at", "digest", "owns")).alias("notes"))
-    held = _frames(docs).groupBy("media").agg(F.first("frames").alias("frames")).join(notes, "media", "left")
-    foreign = F.coalesce(F.filter("notes", lambda x: ~x["owns"]), F.array().cast("array<struct<at:int,digest:binary,owns:boolean>>"))
+    held = _frames(docs).groupBy("media").agg(F.first("frames").alias("frames")).join(notes, "media")
+    foreign = F.filter("notes", lambda x: ~x["owns"])
     packs = held.select(
         "media", F.transform("frames", lambda f, i: F.when(F.exists(foreign, lambda x: x["at"] == i), F.lit(None)).otherwise(f)).alias("frames"),
         F.map_from_entries(F.transform(foreign, lambda x: F.struct(x["at"], x["digest"]))).alias("borrowed"),
     )
     loans = held.where(F.exists("notes", lambda x: x["owns"])).select("frames", F.explode(F.filter("notes", lambda x: x["owns"])).alias("x")).select(F.col("x.digest").alias("digest"), F.col("frames")[F.col("x.at")].alias("frame"))
-    return packs, loans
+    return packs, loans, shared.where(~F.col("owns")).select("media", "at", "digest")
 
 
-def rebuilt(packs: DataFrame, loans: DataFrame) -> DataFrame:
+def rebuilt(packs: DataFrame, loans: DataFrame, asked: DataFrame | None = None) -> DataFrame:
     """media, payload_bytes, payload_sha256, tail_crc32 and features of each distinct medium.
 
     A medium whose bytes do not have its SHA-256 (a chunk is missing or spoiled) raises, which
     fails the job rather than a row.
     """
-    asked = packs.select("media", F.explode("borrowed").alias("at", "digest"))
+    if asked is None:
+        asked = packs.select("media", F.explode("borrowed").alias("at", "digest"))
     lent = asked.join(loans, "digest").groupBy("media").agg(F.map_from_entries(F.collect_list(F.struct("at", "frame"))).alias("lent"))
     whole = packs.join(lent, "media", "left").select("media", F.transform("frames", lambda f, i: F.coalesce(f, F.col("lent")[i])).alias("frames"))
 
@@ -182,7 +184,7 @@ def rebuilt(packs: DataFrame, loans: DataFrame) -> DataFrame:
 def write_store(docs: DataFrame, folder: str) -> None:
     """Recipes, packs and loans of ``docs`` as Parquet in a shared folder."""
     recipe = recipes(docs)
-    packs, loans = chunk_store(docs, recipe)
+    packs, loans, _ = chunk_store(docs, recipe)
     for name, df in (("recipes", recipe), ("packs", packs), ("loans", loans)):
         df.write.mode("overwrite").parquet(f"{folder}/{name}")
 
@@ -194,7 +196,7 @@ def read_store(spark: SparkSession, folder: str) -> DataFrame:
 def op9_media_chunks(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Every text stored as chunked media, read back through the chunk store, verified and described."""
     docs = table(spark, sf_dir, "documents")
-    recipe = recipes(docs)
+    recipe = reliable(recipes(docs))
     back = rebuilt(*chunk_store(docs, recipe))
     return recipe.join(back, "media").select(
         "doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", F.lower(F.hex("media")).alias("media_sha256"), "feature", F.size("chunks").alias("n_chunks")
