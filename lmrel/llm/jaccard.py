@@ -26,7 +26,7 @@ from pyspark.sql import functions as F
 from .common import components, reliable, table
 from .grams import each_slab, window_hashes
 
-SHINGLE, PREFIX, GROUPS = 5, 32, 128
+SHINGLE, PREFIX, LEAST_GROUPS, MOST_GROUPS = 5, 32, 64, 4096
 #: Rows of a tile; rows of a bucket, and shingles of a class, beyond which it is split into pairs of blocks.
 TILE, BUCKET_ROWS, CLASS_SHINGLES = 64, 20_000, 3_000_000
 _U = np.uint64
@@ -43,22 +43,28 @@ def shingle_sets(column: pa.Array, width: int = SHINGLE) -> Iterator[np.ndarray]
                 yield window_hashes(words[a:z], z - a) if z > a else np.zeros(0, np.uint64)
 
 
+def groups_of(n: int) -> int:
+    """Groups of a set of n shingles: about n / 4, a power of two, so finer counts fold into coarser ones."""
+    return min(MOST_GROUPS, max(LEAST_GROUPS, 1 << max(0, (int(n) - 1).bit_length() - 2)))
+
+
 def point(shingles: np.ndarray) -> np.ndarray:
-    return np.bincount(((shingles >> _U(17)) % _U(GROUPS)).astype(np.int64), minlength=GROUPS)
+    g = groups_of(len(shingles))
+    return np.bincount(((shingles >> _U(17)) & _U(g - 1)).astype(np.int64), minlength=g)
 
 
 def packed(p: np.ndarray) -> bytes:
-    return p.astype(np.uint8 if p.max(initial=0) < 256 else np.uint32).tobytes()
+    return b"\0" + p.astype(np.uint8).tobytes() if p.max(initial=0) < 256 else b"\1" + p.astype(np.uint32).tobytes()
+
+
+def unpacked(row: bytes) -> np.ndarray:
+    return np.frombuffer(row, dtype=np.uint32 if row[0] else np.uint8, offset=1)
 
 
-def unpacked(rows: list[bytes]) -> np.ndarray:
-    out = np.zeros((len(rows), GROUPS), dtype=np.int32)
-    short = [i for i, r in enumerate(rows) if len(r) == GROUPS]
-    out[short] = np.frombuffer(b"".join(rows[i] for i in short), dtype=np.uint8).reshape(-1, GROUPS)
-    for i, r in enumerate(rows):
-        if len(r) != GROUPS:
-            out[i] = np.frombuffer(r, dtype=np.uint32)
-    return out
+def folded(rows: list[np.ndarray], groups: int) -> np.ndarray:
+    """The points of the rows at ``groups`` groups, which each of them has or more."""
+    out = np.stack([r if len(r) == groups else r.reshape(-1, groups).sum(axis=0) for r in rows])
+    return out.astype(np.uint16) if out.max(initial=0) < 1 << 16 else out.astype(np.uint32)
 
 
 def profiles(docs: DataFrame) -> DataFrame:
@@ -111,31 +117,40 @@ class Forest:
 Check = Callable[[int, np.ndarray], np.ndarray]
 
 
-def tree_links(n: np.ndarray, points: np.ndarray, check: Check | None = None) -> list[tuple[int, int]]:
+def tree_links(n: np.ndarray, points: list[np.ndarray], check: Check | None = None) -> list[tuple[int, int]]:
     """A spanning forest of the pairs whose bound (and, if given, ``check``) reaches the threshold.
 
     Rows are packed into tiles by size and then by a coordinate; a pair of tiles is opened only if
-    sizes and bounding corners let a link exist and it is not connected throughout.
+    sizes and bounding corners let a link exist and it is not connected throughout.  Two tiles are
+    compared at the groups of the smaller sizes.
     """
-    count = len(n)
-    forest = Forest(count)
-    half = points[:, : GROUPS // 2].sum(axis=1)
+    count, forest = len(n), Forest(len(n))
+    half = np.array([p[: len(p) // 2].sum() / max(1, p.sum()) for p in points])
     order = np.argsort(n, kind="stable")
     slab = np.arange(count) // (8 * TILE)
-    order = order[np.lexsort((half[order] * 1.0 / np.maximum(n[order], 1), slab))]
+    groups = np.array([groups_of(x) for x in n[order][:: 8 * TILE]])
+    order = order[np.lexsort((half[order], slab))]
     tiles = [order[i : i + TILE] for i in range(0, count, TILE)]
-    corner = np.stack([points[t].max(axis=0) for t in tiles])
+    level = np.repeat(groups, 8)[: len(tiles)]
+    own_points = [folded([points[r] for r in t.tolist()], int(g)) for t, g in zip(tiles, level)]
+    fold = lambda m, g: m if m.shape[-1] == g else m.reshape(*m.shape[:-1], -1, g).sum(axis=-2)
     low, high = np.array([n[t].min() for t in tiles]), np.array([n[t].max() for t in tiles])
+    corner = [m.max(axis=0).astype(np.int64) for m in own_points]
+    corners: dict[int, np.ndarray] = {}
     for i, own in enumerate(tiles):
+        g = int(level[i])
+        if g not in corners:
+            corners = {g: np.stack([fold(c, g) for c in corner[i:]])}
+            base = i
         later = np.arange(i, len(tiles))
         later = later[(4 * high[i] >= 3 * low[later]) & (4 * high[later] >= 3 * low[i])]
-        later = later[7 * np.minimum(corner[i], corner[later]).sum(axis=1) >= 3 * (low[i] + low[later])]
-        for j in later:
+        later = later[7 * np.minimum(corner[i], corners[g][later - base]).sum(axis=1) >= 3 * (low[i] + low[later])]
+        for j in later.tolist():
             other = tiles[j]
             ra, rb = forest.roots(own), forest.roots(other)
             if ra.min() == max(ra.max(), rb.max()) and rb.min() == ra.min():
                 continue
-            shared = np.minimum(points[own][:, None, :], points[other][None, :, :]).sum(axis=2)
+            shared = np.minimum(own_points[i][:, None, :], fold(own_points[j], g)[None, :, :]).sum(axis=2, dtype=np.int64)
             reach = (7 * shared >= 3 * (n[own][:, None] + n[other][None, :])) & (ra[:, None] != rb[None, :])
             if i == j:
                 reach = np.triu(reach, 1)
@@ -149,21 +164,25 @@ def tree_links(n: np.ndarray, points: np.ndarray, check: Check | None = None) ->
     return forest.links
 
 
-def _small_links(n: np.ndarray, points: np.ndarray, begin: np.ndarray, size: np.ndarray) -> list[tuple[int, int]]:
+def _small_links(n: np.ndarray, points: list[np.ndarray], begin: np.ndarray, size: np.ndarray) -> list[tuple[int, int]]:
     """The same over many small buckets (first rows and sizes) at once, with the bound alone."""
-    out: list[tuple[int, int]] = []
+    forest, levels = Forest(len(n)), np.array([len(p) for p in points])
     for g in np.unique(size):
         a, b = np.triu_indices(int(g), 1)
         first = begin[size == g]
-        for part in np.array_split(first, max(1, len(first) * len(a) // 50_000)):
-            x, y = (part[:, None] + a).ravel(), (part[:, None] + b).ravel()
-            fit = 4 * np.minimum(n[x], n[y]) >= 3 * np.maximum(n[x], n[y])
-            x, y = x[fit], y[fit]
-            ok = 7 * np.minimum(points[x], points[y]).sum(axis=1) >= 3 * (n[x] + n[y])
-            out += zip(x[ok].tolist(), y[ok].tolist())
-    forest = Forest(len(n))
-    for x, y in out:
-        forest.join(x, y)
+        x, y = (first[:, None] + a).ravel(), (first[:, None] + b).ravel()
+        fit = 4 * np.minimum(n[x], n[y]) >= 3 * np.maximum(n[x], n[y])
+        x, y = x[fit], y[fit]
+        at = np.minimum(levels[x], levels[y])
+        for k in np.unique(at).tolist():
+            px, py = x[at == k], y[at == k]
+            rows, where = np.unique(np.concatenate([px, py]), return_inverse=True)
+            matrix = folded([points[r] for r in rows.tolist()], k)
+            for part in np.array_split(np.arange(len(px)), max(1, len(px) * k // 4_000_000)):
+                shared = np.minimum(matrix[where[part]], matrix[where[len(px) + part]]).sum(axis=1, dtype=np.int64)
+                ok = 7 * shared >= 3 * (n[px[part]] + n[py[part]])
+                for u, v in zip(px[part][ok].tolist(), py[part][ok].tolist()):
+                    forest.join(u, v)
     return forest.links
 
 
@@ -230,11 +249,11 @@ def possible_links(sets: DataFrame) -> DataFrame:
             if len(at):
                 for piece in np.array_split(small, max(1, len(at) // 20_000)):
                     rows = np.concatenate([np.arange(bounds[g], bounds[g + 1]) for g in piece])
-                    found = _small_links(n[rows], unpacked(part.column("point").take(rows).to_pylist()), np.cumsum(size[piece]) - size[piece], size[piece])
+                    found = _small_links(n[rows], [unpacked(r) for r in part.column("point").take(rows).to_pylist()], np.cumsum(size[piece]) - size[piece], size[piece])
                     links += [(rows[a], rows[b]) for a, b in found]
             for g in np.flatnonzero(size > 16):
                 x, y = int(bounds[g]), int(bounds[g + 1])
-                found = tree_links(n[x:y], unpacked(part.column("point").slice(x, y - x).to_pylist()))
+                found = tree_links(n[x:y], [unpacked(r) for r in part.column("point").slice(x, y - x).to_pylist()])
                 links += [(x + a, x + b) for a, b in found]
             pair = np.array(links, dtype=np.int64).reshape(-1, 2)
             if len(pair):
@@ -248,13 +267,14 @@ def exact_links(docs: DataFrame, possible: DataFrame) -> DataFrame:
     """(a, b): a spanning forest of the true links within the classes of possible links.
 
     ``docs`` has doc_id and text; ``possible`` has node, n (shingles) and component.  A class of
-    more than CLASS_SHINGLES shingles is split into pairs of blocks.
+    more than CLASS_SHINGLES shingles is split into pairs of blocks.  The upper 48 bits of the
+    fingerprints tell the shingles of two sets apart.
     """
 
     def sets(batches):
         for batch in batches:
             found = list(shingle_sets(batch.column(2)))
-            yield pa.RecordBatch.from_arrays([*batch.columns[:2], pa.array([len(s) for s in found], pa.int64()), pa.array([s.tobytes() for s in found], pa.binary()), batch.column(3)], ["component", "rep", "n", "shingles", "blocks"])
+            yield pa.RecordBatch.from_arrays([*batch.columns[:2], pa.array([len(s) for s in found], pa.int64()), pa.array([s.view(np.uint8).reshape(-1, 8)[:, 2:].tobytes() for s in found], pa.binary()), batch.column(3)], ["component", "rep", "n", "shingles", "blocks"])
 
     total = possible.groupBy("component").agg(F.ceil(F.sum("n") / CLASS_SHINGLES).cast("int").alias("blocks"))
     members = possible.join(total, "component").select("component", "node", "blocks")
@@ -271,8 +291,10 @@ def exact_links(docs: DataFrame, possible: DataFrame) -> DataFrame:
             for x, y in zip(bounds[:-1].tolist(), bounds[1:].tolist()):
                 if y - x < 2:
                     continue
-                flat = np.frombuffer(b"".join(v.as_py() for v in raw.slice(x, y - x)), dtype=np.uint64)
-                points = np.stack([point(s) for s in np.split(flat, np.cumsum(n[x:y])[:-1])]).astype(np.int32)
+                wide = np.zeros((int(n[x:y].sum()), 8), dtype=np.uint8)
+                wide[:, 2:] = np.frombuffer(b"".join(v.as_py() for v in raw.slice(x, y - x)), dtype=np.uint8).reshape(-1, 6)
+                flat = wide.reshape(-1).view(np.uint64)
+                points = [point(s) for s in np.split(flat, np.cumsum(n[x:y])[:-1])]
                 _, ids = np.unique(flat, return_inverse=True)
                 own, start, mark = n[x:y], np.concatenate([[0], np.cumsum(n[x:y])]), np.zeros(ids.max() + 1, dtype=np.int64)
 
