@@ -157,7 +157,8 @@ def mixed_documents(docs: DataFrame, weights: tuple[int, ...] = (5, 2, 1), repea
     own, p = docs.columns, "mix_"
     planned = plan(docs.withColumn(f"{p}size", n_words(F.col("text"))), weights, repeats, seed, p)
     words = F.regexp_extract_all(F.col("text"), F.lit(f"({WORD})"), F.lit(1))
-    part = F.array_join(F.flatten(F.transform(F.col(f"{p}spans"), lambda s: F.slice(words, s["start"] + 1, s["end"] - s["start"]))), " ")
+    joined = lambda w: F.array_join(F.flatten(F.transform(F.col(f"{p}spans"), lambda s: F.slice(w, s["start"] + 1, s["end"] - s["start"]))), " ")
+    part = F.transform(F.array(words), joined)[0]  # the words are found once for a row, not once for a span
     copies = F.when(F.col(f"{p}size") == 0, F.array(F.col("text"))).otherwise(
         F.concat(F.array_repeat(F.col("text"), F.col(f"{p}passes").cast("int")), F.when(F.size(f"{p}spans") > 0, F.array(part)).otherwise(F.array().cast("array<string>")))
     )
