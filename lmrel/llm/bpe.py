@@ -194,10 +194,10 @@ class BytePairCodec:
     def _new_chunks(self, chunks: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
         """Ids of the chunks one after the other, and how many each has.
 
-        Chunks that begin with a space can be cut into pieces in one go, as a text of themselves.
+        Chunks that begin with a space before other text can be cut into pieces in one go, as a text of themselves.
         """
         texts = [c.decode() for c in chunks]
-        spaced = [i for i, t in enumerate(texts) if t.startswith(" ")]
+        spaced = [i for i, t in enumerate(texts) if t[0] == " " and t[1:2].strip()]
         order, pieces, owner = np.array(spaced, dtype=np.int64), self.pattern.findall("".join(texts[i] for i in spaced)), np.zeros(0, np.int64)
         if pieces:
             ends = np.cumsum(np.fromiter(map(len, pieces), dtype=np.int64, count=len(pieces)))
@@ -249,7 +249,7 @@ class BytePairCodec:
         ids = np.zeros(int(size.sum()), dtype=np.uint32)
         for rows, source, place in ((np.flatnonzero(known), self.flat, self.places[at[known]]), (new, flat, np.cumsum(count) - count)):
             ids[spread(begin[rows], size[rows])] = ragged(source, place, size[rows])
-        if len(self.keys) + len(new) <= CHUNKS:
+        if len(self.keys) + len(new) <= CHUNKS and len(data) >= 1 << 16:  # small slabs would copy the cache for little
             self.places = np.insert(self.places, at[new], np.cumsum(count) - count + len(self.flat))
             self.sizes, self.keys = np.insert(self.sizes, at[new], count), np.insert(self.keys, at[new], keys[new])
             self.flat = np.concatenate([self.flat, flat])
