@@ -231,10 +231,8 @@ class BytePairCodec:
             return [b"".join(self._slab(data[x:y], np.array([0, y - x]))[0] for x, y in zip(at, at[1:]))]
         return self._slab(data, offsets)
 
-    def _slab(self, data: np.ndarray, offsets: np.ndarray) -> list[bytes]:
-        if not len(data):
-            return [b""] * (len(offsets) - 1)
-        starts = self._chunk_starts(data, offsets)
+    def _chunk_ids(self, data: np.ndarray, starts: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """Ids of the distinct chunks one after the other, where each begins, its count, and which chunk stands at each start."""
         ends = np.append(starts[1:], len(data))
         keys, first, which = np.unique(word_hashes(data, starts, ends), return_index=True, return_inverse=True)
         at = np.searchsorted(self.keys, keys)
@@ -253,10 +251,30 @@ class BytePairCodec:
             self.places = np.insert(self.places, at[new], np.cumsum(count) - count + len(self.flat))
             self.sizes, self.keys = np.insert(self.sizes, at[new], count), np.insert(self.keys, at[new], keys[new])
             self.flat = np.concatenate([self.flat, flat])
+        return ids, begin, size, which
+
+    def _slab(self, data: np.ndarray, offsets: np.ndarray) -> list[bytes]:
+        if not len(data):
+            return [b""] * (len(offsets) - 1)
+        starts = self._chunk_starts(data, offsets)
+        ids, begin, size, which = self._chunk_ids(data, starts)
         packed = ragged(ids, begin[which], size[which]).astype("<u4").tobytes()
         ends = np.concatenate([[0], np.cumsum(size[which])])[np.searchsorted(starts, offsets)] * 4
         return [packed[x:y] for x, y in zip(ends[:-1].tolist(), ends[1:].tolist())]
 
+    def segments(self, data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Where the chunks of the texts begin (each encodes alike whatever precedes it), and their numbers of tokens."""
+        if not len(data):
+            return np.zeros(0, dtype=np.int64), np.zeros(0, dtype=np.int64)
+        starts = self._chunk_starts(data, offsets)
+        cuts = np.unique(np.searchsorted(starts, np.arange(0, len(data), 2 * SLAB_BYTES), side="right") - 1).tolist()
+        counts = []
+        for i, j in zip(cuts, [*cuts[1:], len(starts)]):
+            x, y = int(starts[i]), int(starts[j]) if j < len(starts) else len(data)
+            _, _, size, which = self._chunk_ids(data[x:y], starts[i:j] - x)
+            counts.append(size[which])
+        return starts, np.concatenate(counts)
+
     def encode(self, text: str) -> bytes:
         data = np.frombuffer(text.encode(), dtype=np.uint8)
         return self.encode_bytes(data, np.array([0, len(data)]))[0]
