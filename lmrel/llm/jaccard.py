@@ -29,6 +29,8 @@ from .grams import each_slab, window_hashes
 SHINGLE, PREFIX, LEAST_GROUPS, MOST_GROUPS = 5, 32, 64, 4096
 #: Rows of a tile; rows of a bucket, and shingles of a class, beyond which it is split into pairs of blocks.
 TILE, BUCKET_ROWS, CLASS_SHINGLES = 64, 20_000, 3_000_000
+#: Bits of the sieve that keeps texts of no class out of a shuffle; it is broadcast as SIEVE_BITS / 64 rows at most.
+SIEVE_BITS = 1 << 24
 _U = np.uint64
 
 
@@ -263,6 +265,18 @@ def possible_links(sets: DataFrame) -> DataFrame:
     return rows.mapInArrow(run, "a long, b long").distinct()
 
 
+def sifted(docs: DataFrame, wanted: DataFrame) -> DataFrame:
+    """``docs`` without most rows whose ``node`` is not in ``wanted``, and with all whose node is.
+
+    A bitmap of hashed nodes, of SIEVE_BITS bits however many they are, is broadcast; where they are
+    so many that it fills up, more rows pass.  The caller joins exactly afterwards.
+    """
+    slot = f"pmod(xxhash64(node), {SIEVE_BITS}L)"
+    bits = wanted.groupBy(F.expr(f"{slot} div 64").alias("word")).agg(F.expr(f"bit_or(shiftleft(1L, cast({slot} % 64 as int)))").alias("bits"))
+    seen = docs.withColumn("word", F.expr(f"{slot} div 64")).join(F.broadcast(bits), "word")
+    return seen.where(F.expr(f"shiftright(bits, cast({slot} % 64 as int)) & 1 = 1")).select(*docs.columns)
+
+
 def exact_links(docs: DataFrame, possible: DataFrame) -> DataFrame:
     """(a, b): a spanning forest of the true links within the classes of possible links.
 
@@ -278,7 +292,7 @@ def exact_links(docs: DataFrame, possible: DataFrame) -> DataFrame:
 
     total = possible.groupBy("component").agg(F.ceil(F.sum("n") / CLASS_SHINGLES).cast("int").alias("blocks"))
     members = possible.join(total, "component").select("component", "node", "blocks")
-    texts = docs.select(F.col("doc_id").cast("long").alias("node"), F.col("text").cast("string")).join(members, "node")
+    texts = sifted(docs.select(F.col("doc_id").cast("long").alias("node"), F.col("text").cast("string")), possible).join(members, "node")
     rows = texts.select("component", F.col("node").alias("rep"), "text", "blocks").mapInArrow(sets, "component long, rep long, n long, shingles binary, blocks int")
     rows = _pairs_of_blocks(rows, "blocks").select("component", "i", "j", "n", "rep", "shingles")
     rows = rows.repartition("component", "i", "j").sortWithinPartitions("component", "i", "j", "n", "rep")
