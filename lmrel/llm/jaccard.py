@@ -27,8 +27,10 @@ from .common import components, reliable, table
 from .grams import each_slab, window_hashes
 
 SHINGLE, PREFIX, LEAST_GROUPS, MOST_GROUPS = 5, 32, 64, 4096
-#: Rows of a tile; rows of a bucket, and shingles of a class, beyond which it is split into pairs of blocks.
+#: Rows of a tile; rows of a bucket, and shingles of a class, beyond which it is split into blocks.
 TILE, BUCKET_ROWS, CLASS_SHINGLES = 64, 20_000, 3_000_000
+#: Sets of a class of many blocks that are compared in all of its blocks.
+HUBS = 16
 #: Bits of the sieve that keeps texts of no class out of a shuffle; it is broadcast as SIEVE_BITS / 64 rows at most.
 SIEVE_BITS = 1 << 24
 _U = np.uint64
@@ -89,8 +91,11 @@ def profiles(docs: DataFrame) -> DataFrame:
 class Forest:
     """Union-find whose unions are the links given out."""
 
-    def __init__(self, n: int):
+    def __init__(self, n: int, label: np.ndarray | None = None):
         self.parent = np.arange(n)
+        if label is not None:
+            _, first, inverse = np.unique(label, return_index=True, return_inverse=True)
+            self.parent = first[inverse]
         self.links: list[tuple[int, int]] = []
 
     def root(self, i: int) -> int:
@@ -119,14 +124,14 @@ class Forest:
 Check = Callable[[int, np.ndarray], np.ndarray]
 
 
-def tree_links(n: np.ndarray, points: list[np.ndarray], check: Check | None = None) -> list[tuple[int, int]]:
+def tree_links(n: np.ndarray, points: list[np.ndarray], check: Check | None = None, label: np.ndarray | None = None) -> list[tuple[int, int]]:
     """A spanning forest of the pairs whose bound (and, if given, ``check``) reaches the threshold.
 
     Rows are packed into tiles by size and then by a coordinate; a pair of tiles is opened only if
     sizes and bounding corners let a link exist and it is not connected throughout.  Two tiles are
-    compared at the groups of the smaller sizes.
+    compared at the groups of the smaller sizes.  Rows of equal ``label`` are connected from the start.
     """
-    count, forest = len(n), Forest(len(n))
+    count, forest = len(n), Forest(len(n), label)
     half = np.array([p[: len(p) // 2].sum() / max(1, p.sum()) for p in points])
     order = np.argsort(n, kind="stable")
     slab = np.arange(count) // (8 * TILE)
@@ -277,33 +282,31 @@ def sifted(docs: DataFrame, wanted: DataFrame) -> DataFrame:
     return seen.where(F.expr(f"shiftright(bits, cast({slot} % 64 as int)) & 1 = 1")).select(*docs.columns)
 
 
-def exact_links(docs: DataFrame, possible: DataFrame) -> DataFrame:
-    """(a, b): a spanning forest of the true links within the classes of possible links.
+def exact_links(docs: DataFrame, members: DataFrame) -> DataFrame:
+    """(a, b): links that join what is not joined yet, cell by cell, where the exact overlap reaches the threshold.
 
-    ``docs`` has doc_id and text; ``possible`` has node, n (shingles) and component.  A class of
-    more than CLASS_SHINGLES shingles is split into pairs of blocks.  The upper 48 bits of the
-    fingerprints tell the shingles of two sets apart.
+    ``docs`` has doc_id and text; ``members`` has component, node, label (nodes of one label are
+    joined already) and cells, the places (i, j) where a node is compared with the others sent
+    there.  The upper 48 bits of the fingerprints tell the shingles of two sets apart.
     """
 
     def sets(batches):
         for batch in batches:
-            found = list(shingle_sets(batch.column(2)))
-            yield pa.RecordBatch.from_arrays([*batch.columns[:2], pa.array([len(s) for s in found], pa.int64()), pa.array([s.view(np.uint8).reshape(-1, 8)[:, 2:].tobytes() for s in found], pa.binary()), batch.column(3)], ["component", "rep", "n", "shingles", "blocks"])
+            found = list(shingle_sets(batch.column(3)))
+            yield pa.RecordBatch.from_arrays([*batch.columns[:3], pa.array([len(s) for s in found], pa.int64()), pa.array([s.view(np.uint8).reshape(-1, 8)[:, 2:].tobytes() for s in found], pa.binary()), batch.column(4)], ["component", "rep", "label", "n", "shingles", "cells"])
 
-    total = possible.groupBy("component").agg(F.ceil(F.sum("n") / CLASS_SHINGLES).cast("int").alias("blocks"))
-    members = possible.join(total, "component").select("component", "node", "blocks")
-    texts = sifted(docs.select(F.col("doc_id").cast("long").alias("node"), F.col("text").cast("string")), possible).join(members, "node")
-    rows = texts.select("component", F.col("node").alias("rep"), "text", "blocks").mapInArrow(sets, "component long, rep long, n long, shingles binary, blocks int")
-    rows = _pairs_of_blocks(rows, "blocks").select("component", "i", "j", "n", "rep", "shingles")
+    texts = sifted(docs.select(F.col("doc_id").cast("long").alias("node"), F.col("text").cast("string")), members).join(members, "node")
+    rows = texts.select("component", F.col("node").alias("rep"), "label", "text", "cells").mapInArrow(sets, "component long, rep long, label long, n long, shingles binary, cells array<struct<i:int,j:int>>")
+    rows = rows.withColumn("cell", F.explode("cells")).select("component", "cell.i", "cell.j", "n", "rep", "label", "shingles")
     rows = rows.repartition("component", "i", "j").sortWithinPartitions("component", "i", "j", "n", "rep")
 
     def run(batches):
         for part in grouped(batches, 3):
             bounds = _bounds(part, 3)
-            n, rep, raw = part.column("n").to_numpy(), part.column("rep").to_numpy(), part.column("shingles")
+            n, rep, label, raw = part.column("n").to_numpy(), part.column("rep").to_numpy(), part.column("label").to_numpy(), part.column("shingles")
             ends = []
             for x, y in zip(bounds[:-1].tolist(), bounds[1:].tolist()):
-                if y - x < 2:
+                if (label[x:y] == label[x]).all():
                     continue
                 wide = np.zeros((int(n[x:y].sum()), 8), dtype=np.uint8)
                 wide[:, 2:] = np.frombuffer(b"".join(v.as_py() for v in raw.slice(x, y - x)), dtype=np.uint8).reshape(-1, 6)
@@ -318,7 +321,7 @@ def exact_links(docs: DataFrame, possible: DataFrame) -> DataFrame:
                     mark[ids[start[a] : start[a + 1]]] = 0
                     return 100 * both >= 75 * (own[a] + own[others] - both)
 
-                ends += [(rep[x + a], rep[x + b]) for a, b in tree_links(own, points, check)]
+                ends += [(rep[x + a], rep[x + b]) for a, b in tree_links(own, points, check, label[x:y])]
             if ends:
                 pair = np.array(ends, dtype=np.int64)
                 yield pa.RecordBatch.from_arrays([pa.array(pair[:, 0]), pa.array(pair[:, 1])], ["a", "b"])
@@ -326,6 +329,42 @@ def exact_links(docs: DataFrame, possible: DataFrame) -> DataFrame:
     return rows.mapInArrow(run, "a long, b long")
 
 
+def _block(node: str, blocks: str, seed: int) -> str:
+    return f"cast(pmod(xxhash64({seed}, {node}), {blocks}) as int)"
+
+
+def settled_classes(docs: DataFrame, possible: DataFrame) -> DataFrame:
+    """(node, component) of the true links within the classes of possible links.
+
+    ``docs`` has doc_id and text; ``possible`` has node, n (shingles) and component.  A class of
+    more than CLASS_SHINGLES shingles is dealt into blocks.  First each block is settled by itself,
+    with up to HUBS sets of the class that go to all of its blocks and so tie the blocks together.
+    Then only the sets outside the class's largest part (the loose ones) still meet all others:
+    blocks of loose sets against blocks of all sets.  A class that is one part after the first round
+    is sent once, and no cell holds more than two blocks.
+    """
+    total = possible.groupBy("component").agg(F.ceil(F.sum("n") / CLASS_SHINGLES).cast("int").alias("blocks"))
+    members = reliable(possible.join(total, "component").select("component", "node", "n", "blocks"))
+    large = members.where("blocks > 1")
+    hubs = large.groupBy("component", F.expr(_block("node", str(HUBS), 5)).alias("k")).agg(F.expr("min_by(node, xxhash64(7, node))").alias("node")).select("node", F.lit(True).alias("hub"))
+    own = _block("node", "blocks", 11)
+    cells = F.expr(f"transform(CASE WHEN hub THEN sequence(0, blocks - 1) ELSE array({own}) END, b -> struct(b AS i, b AS j))")
+    first = members.join(hubs, "node", "left").select("component", "node", F.col("node").alias("label"), cells.alias("cells"))
+    settled = reliable(components(exact_links(docs, first)))
+    part = large.join(settled.withColumnRenamed("component", "part"), "node", "left").withColumn("label", F.coalesce("part", "node"))
+    main = part.groupBy("component", "label").count().groupBy("component").agg(F.expr("max_by(label, struct(count, label))").alias("main"))
+    part = part.join(main, "component").withColumn("loose", F.expr("label <> main"))
+    apart = part.where("loose").groupBy("component").agg(F.ceil(F.sum("n") / CLASS_SHINGLES).cast("int").alias("loose_blocks"))
+    rest = part.join(apart, "component").withColumn("own", F.expr(own)).withColumn("own_loose", F.expr(_block("node", "loose_blocks", 13)))
+    every = "transform(sequence(0, loose_blocks - 1), l -> struct(l AS i, own AS j))"
+    cells = F.expr(f"CASE WHEN loose THEN array_union({every}, transform(sequence(0, blocks - 1), b -> struct(own_loose AS i, b AS j))) ELSE {every} END")
+    rest = reliable(rest.select("component", "node", "label", cells.alias("cells")))
+    if not rest.limit(1).count():
+        return settled
+    more = exact_links(docs, rest)
+    return components(settled.select(F.col("node").alias("a"), F.col("component").alias("b")).union(more))
+
+
 def near_duplicate_classes(docs: DataFrame) -> DataFrame:
     """doc_id, n_shingles and component_id of every row of ``docs`` (doc_id, text).
 
@@ -338,7 +377,7 @@ def near_duplicate_classes(docs: DataFrame) -> DataFrame:
     classes = reliable(real.groupBy("h1", "h2").agg(F.min(F.struct("doc_id", "n", "keys", "point")).alias("r")).select("h1", "h2", F.col("r.doc_id").alias("rep"), F.col("r.n").alias("n"), F.col("r.keys").alias("keys"), F.col("r.point").alias("point")))
     possible = components(possible_links(classes))
     sizes = classes.groupBy(F.col("rep").alias("node")).agg(F.max("n").alias("n"))
-    settled = components(exact_links(docs, reliable(possible.join(sizes, "node"))))
+    settled = settled_classes(docs, possible.join(sizes, "node"))
     named = classes.select("h1", "h2", "rep").join(settled, F.col("rep") == F.col("node"), "left").select("h1", "h2", F.coalesce("component", "rep").alias("component"))
     out = own.join(named, ["h1", "h2"], "left")
     return out.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.when(F.col("doc_id").isNotNull(), F.col("component"))).otherwise(F.col("doc_id")).alias("component_id"))

@@ -45,7 +45,11 @@ def none(spark):
     return spark.createDataFrame([], SCHEMA)
 
 
-def test_jaccard_classes(docs, rows, none):
+@pytest.mark.parametrize("class_shingles", [jaccard.CLASS_SHINGLES, 150, 40])
+def test_jaccard_classes(docs, rows, none, class_shingles, monkeypatch):
+    monkeypatch.setattr(jaccard, "CLASS_SHINGLES", class_shingles)
+    monkeypatch.setattr(jaccard, "HUBS", 16 if class_shingles > 40 else 1)
+
     def shingles(t):
         w = WORD.findall("".join(c.lower() if c in "ABCDEFGHIJKLMNOPQRSTUVWXYZ" else c for c in t or ""))
         return {tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))} if w else set()
