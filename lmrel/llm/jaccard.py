@@ -127,18 +127,20 @@ Check = Callable[[int, np.ndarray], np.ndarray]
 def tree_links(n: np.ndarray, points: list[np.ndarray], check: Check | None = None, label: np.ndarray | None = None) -> list[tuple[int, int]]:
     """A spanning forest of the pairs whose bound (and, if given, ``check``) reaches the threshold.
 
-    Rows are packed into tiles by size and then by a coordinate; a pair of tiles is opened only if
-    sizes and bounding corners let a link exist and it is not connected throughout.  Two tiles are
+    Rows are packed into tiles of one number of groups by size and then by a coordinate; a pair of
+    tiles is opened only if sizes and bounding corners let a link exist and it is not connected throughout.  Two tiles are
     compared at the groups of the smaller sizes.  Rows of equal ``label`` are connected from the start.
     """
     count, forest = len(n), Forest(len(n), label)
     half = np.array([p[: len(p) // 2].sum() / max(1, p.sum()) for p in points])
     order = np.argsort(n, kind="stable")
-    slab = np.arange(count) // (8 * TILE)
-    groups = np.array([groups_of(x) for x in n[order][:: 8 * TILE]])
-    order = order[np.lexsort((half[order], slab))]
-    tiles = [order[i : i + TILE] for i in range(0, count, TILE)]
-    level = np.repeat(groups, 8)[: len(tiles)]
+    own_level = np.array([len(points[r]) for r in order.tolist()])
+    start = np.searchsorted(own_level, own_level)
+    slab = (np.arange(count) - start) // (8 * TILE)
+    order = order[np.lexsort((half[order], slab, own_level))]
+    edges = [*np.unique(start).tolist(), count]
+    tiles = [order[i : min(i + TILE, z)] for a, z in zip(edges[:-1], edges[1:]) for i in range(a, z, TILE)]
+    level = np.array([len(points[t[0]]) for t in tiles])
     own_points = [folded([points[r] for r in t.tolist()], int(g)) for t, g in zip(tiles, level)]
     fold = lambda m, g: m if m.shape[-1] == g else m.reshape(*m.shape[:-1], -1, g).sum(axis=-2)
     low, high = np.array([n[t].min() for t in tiles]), np.array([n[t].max() for t in tiles])

@@ -84,6 +84,16 @@ def test_bound_never_below_overlap():
         assert np.minimum(p[0], p[1]).sum() >= len(np.intersect1d(a, b))
 
 
+def test_tree_compares_at_the_groups_of_the_smaller_set():
+    r = np.random.default_rng(3)
+    sets = [np.unique(r.integers(0, 2**63, n, dtype=np.uint64)) for n in [60] * 3 + [1000] * 70 + [1010] * 70 + [4000] * 9]
+    sets += [np.concatenate([sets[-1][:-100], sets[0]]), sets[5][:-60]]
+    n, points = np.array([len(s) for s in sets]), [jaccard.point(s) for s in sets]
+    bound = {(a, b) for a, b in combinations(range(len(sets)), 2) if 7 * int(np.minimum(*jaccard.folded([points[a], points[b]], min(len(points[a]), len(points[b]))).astype(int)).sum()) >= 3 * (n[a] + n[b])}
+    assert {tuple(sorted(map(int, x))) for x in jaccard.tree_links(n, points)} == bound == {(151, 152), (5, 153)}
+    assert jaccard.tree_links(n, points, None, np.where(np.arange(len(n)) >= 151, 151, np.arange(len(n)))) != []
+
+
 def test_substring_dedup(docs, rows, none):
     texts = {i: WORD.findall(t or "") for i, t, *_ in rows if i is not None}
     least = {}
