@@ -8,7 +8,8 @@ window is repeated if a smaller document has it too; runs next to each other joi
 repeats, whose words are removed.
 
 What an Arrow batch already shows is settled there: an anchor or a window goes out once per batch,
-with the smallest document of the batch, so copies in thousands of documents cost a row per batch.
+with the smallest document of the batch (a window with all its places there), so copies in
+thousands of documents cost a row per batch.
 A window is known by its anchor (64 bits), the anchor's place in it and 48 more bits.
 """
 
@@ -143,17 +144,24 @@ def _extended(docs: DataFrame, seeds: DataFrame) -> DataFrame:
             repeated = np.zeros(len(row), dtype=bool)
             repeated[order] = d > least
             open_ = np.zeros(len(row), dtype=bool)
-            open_[order[first]] = True
+            # every place of a window in its least document: the judgement is by place
+            open_[order] = d == least
             bit = (np.int64(1) << (np.arange(len(row)) - begin[of])) if len(row) else np.zeros(0, _I)
             bits = np.bincount(of, weights=bit * repeated, minlength=len(begin)).astype(_I)
             has = bits > 0
             yield pa.RecordBatch.from_arrays([pa.array(doc[begin[has]], pa.int64()), *pack(doc[begin[has]], at[begin[has]], bits[has]), pa.nulls(int(has.sum()), pa.binary())], ["k", "doc_id", "at", "bits", "own"])
             sent = np.flatnonzero(np.bincount(of, weights=open_, minlength=len(begin)) > 0) if len(row) else np.zeros(0, _I)
-            raw = own.astype("<u8").view(np.uint8).reshape(-1, 8)[:, :7].tobytes()
-            ends = np.append(begin, len(row)) * 7
-            blobs = [raw[ends[i] : ends[i + 1]] for i in sent]
-            at_ = begin[sent]
-            yield pa.RecordBatch.from_arrays([pa.array(anchor[at_].view(_I)), *pack(doc[at_], at[at_], np.zeros(len(at_))), pa.array(blobs, pa.binary())], ["k", "doc_id", "at", "bits", "own"])
+            # the anchor's place falls by one from window to window: its first, then 48 bits a window
+            raw = own.astype("<u8").view(np.uint8).reshape(-1, 8)[:, :6].tobytes()
+            ends, start = np.append(begin, len(row)) * 6, (own[begin] >> _U(48)).astype(np.uint8).tobytes()
+            # equal runs of a document go once, the further places (32 bits each) behind the windows, their number as bits
+            places: dict[tuple, list[int]] = {}
+            for i, b in zip(sent.tolist(), begin[sent].tolist()):
+                places.setdefault((doc[b], anchor[b], start[i : i + 1] + raw[ends[i] : ends[i + 1]]), []).append(b)
+            at_ = np.array([p[0] for p in places.values()], dtype=_I)
+            more = np.array([len(p) - 1 for p in places.values()], dtype=_I)
+            blobs = [blob + at[p[1:]].astype("<i4").tobytes() if len(p) > 1 else blob for (_, _, blob), p in places.items()]
+            yield pa.RecordBatch.from_arrays([pa.array(anchor[at_].view(_I)), *pack(doc[at_], at[at_], more), pa.array(blobs, pa.binary())], ["k", "doc_id", "at", "bits", "own"])
 
     def meet(batches):
         for part in grouped(batches, 1):
@@ -165,12 +173,17 @@ def _extended(docs: DataFrame, seeds: DataFrame) -> DataFrame:
             rest = np.flatnonzero(~settled)
             if not len(rest):
                 continue
-            data = [blobs[i].as_py() for i in rest.tolist()]
-            count = np.fromiter(map(len, data), dtype=_I, count=len(data)) // 7
-            flat = np.zeros((int(count.sum()), 8), dtype=np.uint8)
-            flat[:, :7] = np.frombuffer(b"".join(data), dtype=np.uint8).reshape(-1, 7)
-            own, of = flat.reshape(-1).view("<u8"), np.repeat(np.arange(len(rest)), count)
-            bit = np.int64(1) << (np.arange(len(of)) - (np.cumsum(count) - count)[of])
+            data, further = [blobs[i].as_py() for i in rest.tolist()], {}
+            for i in np.flatnonzero(bits[rest]).tolist():
+                cut = len(data[i]) - 4 * int(bits[rest[i]])
+                data[i], further[i] = data[i][:cut], np.frombuffer(data[i][cut:], dtype="<i4")
+            count = np.fromiter(map(len, data), dtype=_I, count=len(data)) // 6
+            of = np.repeat(np.arange(len(rest)), count)
+            nth = np.arange(len(of)) - (np.cumsum(count) - count)[of]
+            flat = np.zeros((len(of), 8), dtype=np.uint8)
+            flat[:, :6] = np.frombuffer(b"".join(x[1:] for x in data), dtype=np.uint8).reshape(-1, 6)
+            flat[:, 6] = np.fromiter((x[0] for x in data), dtype=_I, count=len(data))[of] - nth
+            own, bit = flat.reshape(-1).view("<u8"), np.int64(1) << nth
             d, a = doc[rest][of], k[rest][of]
             order = np.lexsort((d, own, a))
             d_, o_, a_ = d[order], own[order], a[order]
@@ -181,6 +194,10 @@ def _extended(docs: DataFrame, seeds: DataFrame) -> DataFrame:
             bits = np.bincount(of, weights=bit * repeated, minlength=len(rest)).astype(_I)
             has = bits > 0
             yield pa.RecordBatch.from_arrays(pack(doc[rest][has], at[rest][has], bits[has]), ["doc_id", "at", "bits"])
+            again = [i for i in further if has[i]]
+            if again:
+                n = [len(further[i]) for i in again]
+                yield pa.RecordBatch.from_arrays(pack(np.repeat(doc[rest][again], n), np.concatenate([further[i] for i in again]), np.repeat(bits[again], n)), ["doc_id", "at", "bits"])
 
     lists = seeds.groupBy("doc_id").agg(F.collect_list("anchors").alias("anchors"))
     rows = docs.join(lists.hint("shuffle_hash"), "doc_id").select("doc_id", "text", "anchors")
