@@ -1,14 +1,21 @@
 """Language-model scores by masked pseudo-likelihood.
 
-A small network reads the two words on either side of a position and predicts the class of the word
-there (words are hashed into CLASSES).  Every Arrow batch of the corpus trains its own copy by
-gradient steps over all its words; the copies are averaged by Spark, weighted by their words.  A
-document's score is the sum over all its words of the log-probability given both sides.
+Every word of the corpus is counted.  The words are dealt to CLASSES by falling count, so that the
+classes weigh alike and a frequent word is a class of its own; the last class holds the words that
+occur once, of which only the number is kept, as they are alike.  A small network reads the
+classes of the two words on either side of a position and predicts the class of the word there;
+times the word's share of its class that is a probability of the word itself.
+
+The network is shared: in each of ROUNDS a part of the texts, chosen by hash, trains it by gradient
+steps, every partition from the network of the round before and on through all its batches, and
+Spark averages the partitions, weighted by their words.  Each word trains it once.  A document's
+score is the sum over all its words of the log-probability given both sides.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
+from typing import NamedTuple
 
 import numpy as np
 import pyarrow as pa
@@ -19,9 +26,35 @@ from .common import table
 from .grams import each_slab
 
 CLASSES, WIDTH, SIDES, STEP, RATE = 256, 16, (-2, -1, 1, 2), 4096, 4.0
+ROUNDS = 4
 _SIZE = (len(SIDES) * (CLASSES + 1) + CLASSES) * WIDTH + CLASSES
 
 
+class Vocabulary(NamedTuple):
+    """Fingerprints (rising), classes and log shares of the words seen more than once, and the log share of any other."""
+
+    words: np.ndarray
+    kind: np.ndarray
+    share: np.ndarray
+    once: float
+
+    def look(self, words: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Class and log share within the class of each word."""
+        own, inverse = np.unique(words, return_inverse=True)
+        kind, share = np.full(len(own), CLASSES - 1), np.full(len(own), self.once)
+        if len(self.words):
+            i = np.searchsorted(self.words, own)
+            i[i == len(self.words)] = 0
+            hit = self.words[i] == own
+            kind[hit], share[hit] = self.kind[i[hit]], self.share[i[hit]]
+        return kind[inverse], share[inverse]
+
+
+class Model(NamedTuple):
+    vocabulary: Vocabulary
+    flat: np.ndarray
+
+
 def start() -> np.ndarray:
     own = np.random.default_rng(7).normal(scale=0.3, size=_SIZE).astype(np.float32)
     own[-CLASSES:] = 0
@@ -33,36 +66,78 @@ def _parts(flat: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return flat[:cut].reshape(len(SIDES), CLASSES + 1, WIDTH), flat[cut:-CLASSES].reshape(CLASSES, WIDTH), flat[-CLASSES:]
 
 
-def _positions(column: pa.Array) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
-    """Row, class and neighbours' classes (CLASSES beyond the ends of a text) of every word, by slab."""
+def dealt(words: np.ndarray, n: np.ndarray, once: int) -> Vocabulary:
+    """The classes of words seen n > 1 times each, beside ``once`` words seen once."""
+    order = np.lexsort((words, -n))
+    count, kind = n[order], np.zeros(len(n), dtype=np.int16)
+    left, i = int(count.sum()), 0
+    while i < len(count) and int(count[i]) * (CLASSES - 1 - i) >= left:
+        kind[i], left, i = i, left - int(count[i]), i + 1
+    rest = count[i:]
+    if len(rest):
+        kind[i:] = i + (np.cumsum(rest) - rest) * (CLASSES - 1 - i) // left
+    share = np.log(count / np.bincount(kind, count, CLASSES)[kind]).astype(np.float32)
+    rising = np.argsort(words[order])
+    return Vocabulary(words[order][rising], kind[rising], share[rising], -float(np.log(once + 1)))
+
+
+def vocabulary(docs: DataFrame) -> Vocabulary:
+    """All words of the corpus by count."""
+
+    def count(batches):
+        for batch in batches:
+            own = [words for _, _, words, _ in each_slab(batch.column(0), lower=True)]
+            words, n = np.unique(np.concatenate([np.zeros(0, np.uint64), *own]), return_counts=True)
+            yield pa.RecordBatch.from_arrays([pa.array(words.view(np.int64)), pa.array(n.astype(np.int64))], ["w", "n"])
+
+    def fold(batches):
+        once = 0
+        for batch in batches:
+            several = batch.column(1).to_numpy() > 1
+            once += int((~several).sum())
+            yield batch.filter(pa.array(several))
+        yield pa.RecordBatch.from_arrays([pa.array([None], pa.int64()), pa.array([once], pa.int64())], ["w", "n"])
+
+    sent = docs.select(F.col("text").cast("string")).mapInArrow(count, "w long, n long")
+    got = sent.groupBy("w").agg(F.sum("n").alias("n")).mapInArrow(fold, "w long, n long").toArrow()
+    known = got.filter(got.column("w").is_valid())
+    once = int(got.filter(got.column("w").is_null()).column("n").to_numpy().sum())
+    return dealt(known.column("w").to_numpy().view(np.uint64), known.column("n").to_numpy(), once)
+
+
+def _positions(column: pa.Array, known: Vocabulary) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
+    """Row, class, log share and neighbours' classes (CLASSES beyond the ends of a text) of every word, by slab."""
     for at, to, words, bounds in each_slab(column, lower=True):
-        kind = (words % np.uint64(CLASSES)).astype(np.int64)
+        kind, share = known.look(words)
         row = np.repeat(np.arange(to - at), np.diff(bounds))
         place, around = np.arange(len(kind)), np.full((len(SIDES), len(kind)), CLASSES)
         for i, d in enumerate(SIDES):
             j = place + d
             ok = (j >= bounds[row]) & (j < bounds[row + 1])
             around[i, ok] = kind[j[ok]]
-        yield at + row, kind, around
+        yield at + row, kind, share, around
 
 
-def _log_softmax(flat: np.ndarray, around: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+def _scores(flat: np.ndarray, around: np.ndarray, room: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The hidden layer and, in ``room``, the classes' scores, 0 at most."""
     inputs, out, bias = _parts(flat)
     hidden = np.tanh(sum(inputs[i][around[i]] for i in range(len(SIDES))))
-    z = hidden @ out.T + bias
+    z = np.matmul(hidden, out.T, out=room[: len(hidden)])
+    z += bias
     z -= z.max(axis=1, keepdims=True)
-    return hidden, z - np.log(np.exp(z).sum(axis=1, keepdims=True))
+    return hidden, z
 
 
 def train(flat: np.ndarray, kind: np.ndarray, around: np.ndarray) -> None:
     """One pass of gradient steps over the words, in place."""
+    room = np.empty((STEP, CLASSES), dtype=np.float32)
     for s in range(0, len(kind), STEP):
         k, a = kind[s : s + STEP], around[:, s : s + STEP]
         inputs, out, bias = _parts(flat)
-        hidden, logp = _log_softmax(flat, a)
-        g = np.exp(logp)
-        g[np.arange(len(k)), k] -= 1
-        g *= RATE / len(k)
+        hidden, g = _scores(flat, a, room)
+        np.exp(g, out=g)
+        g *= (RATE / len(k)) / g.sum(axis=1, keepdims=True)
+        g[np.arange(len(k)), k] -= RATE / len(k)
         back = (g @ out) * (1 - hidden**2)
         out -= g.T @ hidden
         bias -= g.sum(axis=0)
@@ -71,36 +146,47 @@ def train(flat: np.ndarray, kind: np.ndarray, around: np.ndarray) -> None:
                 inputs[i][:, d] -= np.bincount(a[i], back[:, d], CLASSES + 1).astype(np.float32)
 
 
-def fit(docs: DataFrame) -> np.ndarray:
-    """The averaged network of the whole corpus; an empty one gives the starting network."""
-
-    def run(batches):
-        for batch in batches:
-            flat, n = start(), 0
-            for _, kind, around in _positions(batch.column(0)):
-                train(flat, kind, around)
-                n += len(kind)
+def fit(docs: DataFrame) -> Model:
+    """The vocabulary and the network of the whole corpus; an empty one gives the starting network."""
+    context, known, flat = docs.sparkSession.sparkContext, vocabulary(docs), start()
+    words = context.broadcast(known)
+    texts = docs.select(F.col("text").cast("string").alias("text")).where("text IS NOT NULL")
+    for r in range(ROUNDS):
+        shared = context.broadcast(flat)
+
+        def run(batches, shared=shared):
+            own, n = shared.value.copy(), 0
+            for batch in batches:
+                for _, kind, _, around in _positions(batch.column(0), words.value):
+                    train(own, kind, around)
+                    n += len(kind)
             if n:
-                yield pa.RecordBatch.from_arrays([pa.array(np.arange(_SIZE, dtype=np.int32)), pa.array(flat.astype(np.float64) * n), pa.array(np.full(_SIZE, n, dtype=np.int64))], ["i", "v", "n"])
+                yield pa.RecordBatch.from_arrays([pa.array(np.arange(_SIZE, dtype=np.int32)), pa.array(own.astype(np.float64) * n), pa.array(np.full(_SIZE, n, dtype=np.int64))], ["i", "v", "n"])
 
-    rows = docs.select(F.col("text").cast("string")).mapInArrow(run, "i int, v double, n long")
-    got = rows.groupBy("i").agg((F.sum("v") / F.sum("n")).alias("v")).orderBy("i").collect()
-    return np.array([r.v for r in got], dtype=np.float32) if got else start()
+        rows = texts.where(F.pmod(F.xxhash64("text"), F.lit(ROUNDS)) == r).mapInArrow(run, "i int, v double, n long")
+        got = rows.groupBy("i").agg((F.sum("v") / F.sum("n")).alias("v")).orderBy("i").collect()
+        if got:
+            flat = np.array([x.v for x in got], dtype=np.float32)
+    return Model(known, flat)
 
 
-def scored(docs: DataFrame, flat: np.ndarray) -> DataFrame:
+def scored(docs: DataFrame, model: Model) -> DataFrame:
     """doc_id, n_words, log_likelihood (summed) and mean; a text of no words has 0 and a null mean."""
-    sent = docs.sparkSession.sparkContext.broadcast(flat)
+    sent = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches):
+        room, some = np.empty((STEP, CLASSES), dtype=np.float32), STEP // 8
         for batch in batches:
             total, count = np.zeros(batch.num_rows), np.zeros(batch.num_rows, dtype=np.int64)
-            for row, kind, around in _positions(batch.column(1)):
-                for s in range(0, len(kind), STEP):
-                    k, r = kind[s : s + STEP], row[s : s + STEP]
-                    logp = _log_softmax(sent.value, around[:, s : s + STEP])[1][np.arange(len(k)), k]
-                    total += np.bincount(r, logp, batch.num_rows)
-                    count += np.bincount(r, minlength=batch.num_rows)
+            for row, kind, share, around in _positions(batch.column(1), sent.value.vocabulary):
+                logp = share.astype(np.float64)
+                for s in range(0, len(kind), some):
+                    k = kind[s : s + some]
+                    z = _scores(sent.value.flat, around[:, s : s + some], room)[1]
+                    logp[s : s + some] += z[np.arange(len(k)), k]
+                    logp[s : s + some] -= np.log(np.exp(z, out=z).sum(axis=1))
+                total += np.bincount(row, logp, batch.num_rows)
+                count += np.bincount(row, minlength=batch.num_rows)
             mean = pa.array(total / np.maximum(count, 1), mask=count == 0)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(count), pa.array(total), mean], ["doc_id", "n_words", "log_likelihood", "mean"])
 
