@@ -12,7 +12,7 @@ from lmrel.functions.constraints import Constraint, ScoredToyModel, constrained_
 from lmrel.functions.prompts import approx_tokens, render_ask_prompt
 from lmrel.functions.skills import BY_QUESTION
 from lmrel.functions.types import parse_quantifier, parse_type
-from lmrel.session import Runtime
+from lmrel.session import Runtime, keep
 from lmrel.sources.providers import Request, said
 
 MAX_ROWS, MAX_CHARS = 5_000, 120_000
@@ -84,10 +84,21 @@ def lm_ask(question: str, rt: Runtime, context: DataFrame | None = None, options
 
 
 def _tree(question: str, rt: Runtime, values: DataFrame, column: str, ddl: str, quantifier: str | None, chunk: int):
-    """Parts by hash, each answered in its task; their answers are the options of the next level."""
-    level = values
-    while (n := level.count()) > chunk:
-        parts, k = -(-n // chunk), parse_quantifier(quantifier)[1] or 1
+    """Parts by hash, each answered in its task; their answers are the options of the next level.
+
+    The last level is one prompt, also where parts no longer make the options fewer; if that does not fit, it is refused.
+    """
+    level, last, k = values, None, parse_quantifier(quantifier)[1] or 1
+    while True:
+        n, size = level.agg(F.count(F.lit(1)), F.sum(F.octet_length(column))).first()
+        stuck = last is not None and n >= last
+        if n <= chunk or stuck:
+            try:
+                return lm_ask(question, rt, options=level, return_type="list[str]" if ddl.startswith("array") else "str", quantifier=quantifier)
+            except ContextTooLarge:
+                if stuck:
+                    raise
+        last, parts = n, max(-(-n // chunk), -(-size // MAX_CHARS))
         provider, constraint_of = _Ranked(rt.provider, k), Constraint.list_of
 
         def run(frame: pd.DataFrame) -> pd.DataFrame:
@@ -95,20 +106,27 @@ def _tree(question: str, rt: Runtime, values: DataFrame, column: str, ddl: str,
             request = Request(question, json.dumps({"rows": own}, ensure_ascii=False), render_ask_prompt(question, None, "array<string>", own, (k, k)), constraint_of("string", 0, k, own))
             return pd.DataFrame({column: json.loads(provider.complete(request)[0])})
 
-        level = level.withColumn("__p", F.pmod(F.xxhash64(column), F.lit(2 * parts))).groupBy("__p").applyInPandas(run, f"{column} string")
+        level = keep(level.withColumn("__p", F.pmod(F.xxhash64(column), F.lit(2 * parts))).groupBy("__p").applyInPandas(run, f"{column} string"))
         rt.record(question, calls=2 * parts, inputs=n, in_tokens=0, out_tokens=0, malformed=0)
-    return lm_ask(question, rt, options=level, return_type="list[str]" if ddl.startswith("array") else "str", quantifier=quantifier)
+
+
+def _asked(question: str, rt: Runtime, options: DataFrame, **more):
+    """One prompt, or a tree of parts where the options do not fit one."""
+    try:
+        return lm_ask(question, rt, options=options, **more)
+    except ContextTooLarge:
+        return lm_ask(question, rt, options=options, reduce="tree", **more)
 
 
 def lm_topk(df: DataFrame, question: str, column: str, k: int, rt: Runtime) -> DataFrame:
-    """(rank, column): the k best of a column's distinct values, by one call."""
-    best = lm_ask(question, rt, options=df.select(column), return_type="list[str]", quantifier=f"{{{k}}}") or []
+    """(rank, column): the k best of a column's distinct values, by one call or, of many, by a tree of calls."""
+    best = _asked(question, rt, df.select(column), return_type="list[str]", quantifier=f"{{{k}}}") or []
     return df.sparkSession.createDataFrame([(i + 1, v) for i, v in enumerate(best)], f"rank int, {column} string")
 
 
 def lm_link(df: DataFrame, question: str, column: str, rt: Runtime, context: DataFrame) -> DataFrame:
     """Rows whose column equals the answer over the context; the literal reaches the scan as a filter."""
-    answer = lm_ask(question, rt, options=context)
+    answer = _asked(question, rt, context)
     return df.where(F.col(column) == F.lit(answer)) if answer is not None else df.limit(0)
 
 
