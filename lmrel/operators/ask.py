@@ -8,7 +8,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from lmrel.functions.constraints import Constraint, ScoredToyModel, constrained_decode, parse_lenient
+from lmrel.functions.constraints import NONE, Constraint, ScoredToyModel, constrained_decode, parse_lenient
 from lmrel.functions.prompts import approx_tokens, render_ask_prompt
 from lmrel.functions.skills import BY_QUESTION
 from lmrel.functions.types import parse_quantifier, parse_type
@@ -145,9 +145,10 @@ def lm_agg(df: DataFrame, question: str, column: str, by: list[str], name: str,
     values = df.select(*by, F.col(column).cast("string").alias("__v")).where("__v IS NOT NULL").distinct()
     provider = rt.provider
 
+    # Providers read the options only; an automaton of whole texts takes most of the time.
     def run(frame: pd.DataFrame) -> pd.DataFrame:
         own = sorted(frame["__v"])
-        request = Request(question, json.dumps({"rows": own}, ensure_ascii=False), render_ask_prompt(question, None, "string", own), Constraint.from_options(own))
+        request = Request(question, json.dumps({"rows": own}, ensure_ascii=False), render_ask_prompt(question, None, "string", own), Constraint(NONE, "string", tuple(own)))
         return frame.iloc[:1].assign(__v=_Ranked(provider, None).complete(request)[0])
 
     schema = values.schema

@@ -255,6 +255,12 @@ def lm_group_ask(spark, d):
     return lm_agg(table(spark, d, "documents").where("n_chars < 400"), SKILLS["longest"].question, "text", ["lang"], "text", Runtime())
 
 
+@query("SELECT lang, text FROM (SELECT lang, text, row_number() OVER (PARTITION BY lang ORDER BY length(text) DESC, text) AS r FROM (SELECT DISTINCT lang, text FROM documents WHERE text IS NOT NULL)) WHERE r = 1")
+def lm_group_ask_all(spark, d):
+    """``lm_group_ask`` over the whole table."""
+    return lm_agg(table(spark, d, "documents"), SKILLS["longest"].question, "text", ["lang"], "text", Runtime())
+
+
 # --- modalities -----------------------------------------------------------------------------------
 @query("SELECT user_id, max(value) > 99 AS loud FROM events GROUP BY user_id")
 def lm_series_class(spark, d):

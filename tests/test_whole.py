@@ -2,6 +2,7 @@
 
 import pytest
 
+from lmrel import workloads
 from lmrel.functions.skills import SKILLS
 from lmrel.operators import ask
 from lmrel.operators.ask import lm_link, lm_topk
@@ -20,3 +21,10 @@ def test_many_options_by_a_tree(spark, monkeypatch):
     assert lm_topk(few, q, "name", 3, Runtime()).collect() == one
     with pytest.raises(ask.ContextTooLarge):
         lm_topk(spark.createDataFrame([("x" * 3000,), ("y" * 3000,)], "name string"), q, "name", 2, Runtime())
+
+
+def test_groups_of_long_texts(spark, tmp_path):
+    rows = [(i, f"{'word ' * (i % 40)}{i}", "en" if i % 3 else "de") for i in range(700)] + [(900, "long " * 20000, "en"), (901, None, "fr")]
+    spark.createDataFrame(rows, "doc_id long, text string, lang string").write.parquet(f"{tmp_path}/documents.parquet")
+    got = {r.lang: r.text for r in workloads.QUERIES["lm_group_ask_all"](spark, str(tmp_path)).collect()}
+    assert got == {g: min((t for _, t, x in rows if x == g and t), key=lambda t: (-len(t), t)) for g in ("en", "de")}
