@@ -204,6 +204,19 @@ def lm_join_same_kind(spark, d):
     return lm_join(left, right, SKILLS["same_kind"].question, ("a_name",), ("b_name",), Runtime(), on="a < b").select("a", "b")
 
 
+@query(f"SELECT x.p_name AS a_name, y.p_name AS b_name, count(*) AS n FROM part x, part y WHERE x.p_partkey < y.p_partkey AND {twin('same_kind', 'x.p_name', 'y.p_name')} GROUP BY 1, 2")
+def lm_join_same_kind_all(spark, d):
+    """``lm_join_same_kind`` over the whole table: the pairs of keys a < b counted by pair of names."""
+    part = table(spark, d, "part").select("p_partkey", "p_name")
+    a, b = (part.select(F.col("p_name").alias(c)).distinct() for c in ("a_name", "b_name"))
+    yes = lm_join(a, b, SKILLS["same_kind"].question, ("a_name",), ("b_name",), Runtime())
+    sides = [part.join(yes, part["p_name"] == yes[c]).select("a_name", "b_name", "p_partkey", F.lit(int(c == "a_name")).alias("a"), F.lit(int(c == "b_name")).alias("b")) for c in ("a_name", "b_name")]
+    keys = sides[0].unionByName(sides[1]).groupBy("a_name", "b_name", "p_partkey").agg(F.sum("a").alias("a"), F.sum("b").alias("b"))
+    before = Window.partitionBy("a_name", "b_name").orderBy("p_partkey").rowsBetween(Window.unboundedPreceding, -1)
+    counted = keys.withColumn("n", F.col("b") * F.coalesce(F.sum("a").over(before), F.lit(0)))
+    return counted.groupBy("a_name", "b_name").agg(F.sum("n").alias("n")).where("n > 0")
+
+
 def _license_sides(spark, d):
     docs = table(spark, d, "documents").where("lower(text) LIKE '%license%'").select("doc_id", "text")
     return docs, table(spark, d, "benchmark").select("item_id", F.col("text").alias("passage"))
@@ -230,6 +243,14 @@ def lm_cross_dedup(spark, d):
     return lm_join(names, counts, SKILLS["same_kind"].question, ("p_name",), ("other",), Runtime()).groupBy("p_name").agg((F.first("n0") * F.sum("c")).cast("long").alias("n"))
 
 
+@query("SELECT p_name, count(*) AS n FROM part a, (SELECT p_name AS other FROM part) b WHERE split_part(p_name, ' ', 2) = split_part(other, ' ', 2) GROUP BY p_name")
+def lm_cross_dedup_all(spark, d):
+    """``lm_cross_dedup`` against the whole table."""
+    names = table(spark, d, "part").groupBy("p_name").agg(F.count(F.lit(1)).alias("n0"))
+    counts = names.select(F.col("p_name").alias("other"), F.col("n0").alias("c"))
+    return lm_join(names, counts, SKILLS["same_kind"].question, ("p_name",), ("other",), Runtime()).groupBy("p_name").agg((F.first("n0") * F.sum("c")).cast("long").alias("n"))
+
+
 # --- set functions --------------------------------------------------------------------------------
 @query("SELECT CAST(row_number() OVER (ORDER BY length(text) DESC, text) AS INTEGER) AS rank, text FROM (SELECT DISTINCT text FROM conversations WHERE role = 'user') ORDER BY length(text) DESC, text LIMIT 3")
 def lm_topk_options(spark, d):
@@ -377,13 +398,11 @@ def cost_local(spark, d):
 
 @query("SELECT CAST(sum(ceil(length(p_name || '') / 4.0)) AS BIGINT) AS name_tokens, count(*) AS calls FROM (SELECT DISTINCT p_name FROM part)")
 def cost_api(spark, d):
-    from lmrel.functions.prompts import approx_tokens
-
     rt = Runtime()
     with_answers(table(spark, d, "part"), call("red", "p_name"), "x", rt).count()
     assert M.api_cost(rt.ledger) > 0
-    names = [r.p_name for r in table(spark, d, "part").select("p_name").distinct().limit(1000).collect()]
-    return spark.createDataFrame([(sum(map(approx_tokens, names)), rt.calls)], "name_tokens long, calls long")
+    tokens = table(spark, d, "part").select("p_name").distinct().agg(F.sum(F.ceil(F.length("p_name") / 4))).first()[0]
+    return spark.createDataFrame([(tokens, rt.calls)], "name_tokens long, calls long")
 
 
 @query(f"""WITH m AS (SELECT * FROM part ORDER BY p_partkey LIMIT 500), c AS (SELECT count(*) AS n FROM part)

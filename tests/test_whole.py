@@ -1,5 +1,7 @@
 """Queries take part with all rows: many options, many names, long texts."""
 
+from collections import Counter
+
 import pytest
 
 from lmrel import workloads
@@ -28,3 +30,19 @@ def test_groups_of_long_texts(spark, tmp_path):
     spark.createDataFrame(rows, "doc_id long, text string, lang string").write.parquet(f"{tmp_path}/documents.parquet")
     got = {r.lang: r.text for r in workloads.QUERIES["lm_group_ask_all"](spark, str(tmp_path)).collect()}
     assert got == {g: min((t for _, t, x in rows if x == g and t), key=lambda t: (-len(t), t)) for g in ("en", "de")}
+
+
+def test_all_parts_take_part(spark, tmp_path):
+    names = [(i * 7 % 1301, f"c{i % 11} {'ring' if i % 3 else 'cog'}") for i in range(1301)]
+    spark.createDataFrame(names, "p_partkey long, p_name string").write.parquet(f"{tmp_path}/part.parquet")
+    kind = lambda t: t.split()[1]
+    pairs = Counter((x, y) for a, x in names for b, y in names if a < b and kind(x) == kind(y))
+    assert {(r.a_name, r.b_name): r.n for r in workloads.QUERIES["lm_join_same_kind_all"](spark, str(tmp_path)).collect()} == pairs
+    cross = {x: sum(y == x for _, y in names) * sum(kind(y) == kind(x) for _, y in names) for _, x in names}
+    assert {r.p_name: r.n for r in workloads.QUERIES["lm_cross_dedup_all"](spark, str(tmp_path)).collect()} == cross
+
+
+def test_all_names_are_paid_for(spark, tmp_path):
+    names = [f"part {i}" for i in range(1500)]
+    spark.createDataFrame([(i, t) for i, t in enumerate(names)], "p_partkey long, p_name string").write.parquet(f"{tmp_path}/part.parquet")
+    assert tuple(workloads.QUERIES["cost_api"](spark, str(tmp_path)).first()) == (sum(-(-len(t) // 4) for t in names), 1500)
