@@ -21,12 +21,12 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import table
+from .common import lean, table
 from .grams import slabs, strings, word_hashes
 
 VOCABULARY = "byte_bpe_multi_50k.tiktoken"
 #: Longest piece of a matrix; entries of a worker's caches of pieces and of chunks; bytes at once.
-LONG, PIECES, CHUNKS, SLAB_BYTES = 512, 200_000, 2_000_000, 2 << 20
+LONG, PIECES, CHUNKS, SLAB_BYTES = 512, 60_000, 400_000, 1 << 19
 #: Bytes that cannot begin white space in UTF-8.
 _SAFE = np.zeros(256, dtype=bool)
 _SAFE[[*range(0x21, 0x7F), *range(0xC3, 0xE1), *range(0xE4, 0xF5)]] = True
@@ -315,7 +315,7 @@ def digests(docs: DataFrame, vocabulary: str | None = None, pattern: str | None
                 text_sha += [hashlib.sha256(own.decode(x)).hexdigest() for x in rows]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(ids_sha, pa.string()), pa.array(text_sha, pa.string())], ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
 
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string")
+    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(lean(run), "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string")
 
 
 def token_ids(docs: DataFrame, keep: tuple[str, ...] = ("doc_id",), vocabulary: str | None = None, pattern: str | None = None) -> DataFrame:
@@ -332,7 +332,7 @@ def token_ids(docs: DataFrame, keep: tuple[str, ...] = ("doc_id",), vocabulary:
                 yield pa.RecordBatch.from_arrays([*(batch.column(i).slice(at, to - at) for i in range(len(keep))), ids, pa.array(n), pa.array(same)], [*keep, "ids", "n_tokens", "exact"])
 
     schema = T.StructType([*fields, T.StructField("ids", T.ArrayType(T.IntegerType())), T.StructField("n_tokens", T.LongType()), T.StructField("exact", T.BooleanType())])
-    return docs.select(*keep, docs["text"].cast("string")).mapInArrow(run, schema)
+    return docs.select(*keep, docs["text"].cast("string")).mapInArrow(lean(run), schema)
 
 
 def op2_byte_pair_codec(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -2,8 +2,12 @@
 
 from __future__ import annotations
 
+import ctypes
+import re
 import tempfile
+from collections.abc import Callable, Iterable, Iterator
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -18,15 +22,47 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def reliable(df: DataFrame) -> DataFrame:
     """``df`` with its lineage cut by a checkpoint in the folder that the cluster names.
 
-    Only where the session names none (as in tests) a temporary folder is set.
+    A session in one process (as in tests) that names none gets a temporary folder; a cluster that
+    names none is refused, since its executors share no temporary folder.
     """
     context = df.sparkSession.sparkContext
     if context._jsc.sc().getCheckpointDir().isEmpty():
         named = context.getConf().get("spark.checkpoint.dir")
+        if not named and not re.match(r"local(\[|$)", context.master):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         context.setCheckpointDir(named or tempfile.mkdtemp(prefix="checkpoint"))
     return df.checkpoint()
 
 
+def unused(name: str, taken: Iterable[str]) -> str:
+    """``name``, or a longer one where a column has it already (in any case)."""
+    have = {c.lower() for c in taken}
+    while name.lower() in have:
+        name = f"_{name}"
+    return name
+
+
+def give_back() -> None:
+    """Hands the memory that a worker has freed back to the system, which its allocators else keep."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        pass
+
+
+def lean(run: Callable[[Iterator], Iterator]) -> Callable[[Iterator], Iterator]:
+    """``run`` over a task's Arrow batches, after which an idle worker keeps no freed memory."""
+
+    def task(batches):
+        try:
+            yield from run(batches)
+        finally:
+            give_back()
+
+    return task
+
+
 def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     """(node, component) of an undirected edge list with columns ``a`` and ``b`` of longs.
 

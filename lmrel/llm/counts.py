@@ -17,7 +17,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .bpe import SLAB_BYTES, BytePairCodec, codec
-from .common import table
+from .common import lean, table
 from .grams import slabs, strings
 
 BLOCK = 64
@@ -145,7 +145,7 @@ def counted(docs: DataFrame, edits: Column | None = None) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(at, to - at), *(pa.array(c, pa.int64()) for c in columns)], ["doc_id", "n_tokens", "n_tokens_edited", "reencoded"])
 
     edits = middle(docs["text"]) if edits is None else edits
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"), edits.alias("edits")).mapInArrow(run, "doc_id long, n_tokens long, n_tokens_edited long, reencoded long")
+    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"), edits.alias("edits")).mapInArrow(lean(run), "doc_id long, n_tokens long, n_tokens_edited long, reencoded long")
 
 
 def op4_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import components, reliable, table
+from .common import components, lean, reliable, table
 from .grams import each_slab, window_hashes
 
 SHINGLE, PREFIX, LEAST_GROUPS, MOST_GROUPS = 5, 32, 64, 4096
@@ -85,7 +85,7 @@ def profiles(docs: DataFrame) -> DataFrame:
             yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array([r[k] for r in rows], t) for k, t in enumerate(kinds))], ["doc_id", "n", "h1", "h2", "keys", "point"])
 
     own = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
-    return own.mapInArrow(run, "doc_id long, n long, h1 long, h2 long, keys array<long>, point binary")
+    return own.mapInArrow(lean(run), "doc_id long, n long, h1 long, h2 long, keys array<long>, point binary")
 
 
 class Forest:
@@ -269,7 +269,7 @@ def possible_links(sets: DataFrame) -> DataFrame:
                 ends = np.unique(np.sort(rep[pair], axis=1), axis=0)
                 yield pa.RecordBatch.from_arrays([pa.array(ends[:, 0]), pa.array(ends[:, 1])], ["a", "b"])
 
-    return rows.mapInArrow(run, "a long, b long").distinct()
+    return rows.mapInArrow(lean(run), "a long, b long").distinct()
 
 
 def sifted(docs: DataFrame, wanted: DataFrame) -> DataFrame:
@@ -298,7 +298,7 @@ def exact_links(docs: DataFrame, members: DataFrame) -> DataFrame:
             yield pa.RecordBatch.from_arrays([*batch.columns[:3], pa.array([len(s) for s in found], pa.int64()), pa.array([s.view(np.uint8).reshape(-1, 8)[:, 2:].tobytes() for s in found], pa.binary()), batch.column(4)], ["component", "rep", "label", "n", "shingles", "cells"])
 
     texts = sifted(docs.select(F.col("doc_id").cast("long").alias("node"), F.col("text").cast("string")), members).join(members, "node")
-    rows = texts.select("component", F.col("node").alias("rep"), "label", "text", "cells").mapInArrow(sets, "component long, rep long, label long, n long, shingles binary, cells array<struct<i:int,j:int>>")
+    rows = texts.select("component", F.col("node").alias("rep"), "label", "text", "cells").mapInArrow(lean(sets), "component long, rep long, label long, n long, shingles binary, cells array<struct<i:int,j:int>>")
     rows = rows.withColumn("cell", F.explode("cells")).select("component", "cell.i", "cell.j", "n", "rep", "label", "shingles")
     rows = rows.repartition("component", "i", "j").sortWithinPartitions("component", "i", "j", "n", "rep")
 
@@ -328,7 +328,7 @@ def exact_links(docs: DataFrame, members: DataFrame) -> DataFrame:
                 pair = np.array(ends, dtype=np.int64)
                 yield pa.RecordBatch.from_arrays([pa.array(pair[:, 0]), pa.array(pair[:, 1])], ["a", "b"])
 
-    return rows.mapInArrow(run, "a long, b long")
+    return rows.mapInArrow(lean(run), "a long, b long")
 
 
 def _block(node: str, blocks: str, seed: int) -> str:

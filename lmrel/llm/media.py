@@ -19,7 +19,7 @@ import zstandard
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import reliable, table
+from .common import lean, reliable, table
 from .grams import mix, slabs, strings
 
 UNIT, RATE = 64, 8000
@@ -106,7 +106,7 @@ def recipes(docs: DataFrame) -> DataFrame:
                 part = rows[i : i + 2000]
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(i, len(part)), *(pa.array([r[k] for r in part], t) for k, t in enumerate((pa.int64(), pa.int64(), pa.binary(), pa.list_(pa.binary()))))], ["doc_id", "n_bytes", "media_bytes", "media", "chunks"])
 
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, n_bytes long, media_bytes long, media binary, chunks array<binary>")
+    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(lean(run), "doc_id long, n_bytes long, media_bytes long, media binary, chunks array<binary>")
 
 
 def _frames(docs: DataFrame) -> DataFrame:
@@ -127,7 +127,7 @@ def _frames(docs: DataFrame) -> DataFrame:
                     names, frames, held = [], [], 0
             yield pa.RecordBatch.from_arrays([pa.array(names, pa.binary()), pa.array(frames, pa.list_(pa.binary()))], ["media", "frames"])
 
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "media binary, frames array<binary>")
+    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(lean(run), "media binary, frames array<binary>")
 
 
 def chunk_store(docs: DataFrame, recipe: DataFrame) -> tuple[DataFrame, DataFrame, DataFrame]:
@@ -178,7 +178,7 @@ def rebuilt(packs: DataFrame, loans: DataFrame, asked: DataFrame | None = None)
             kinds = (pa.binary(), pa.int64(), pa.string(), pa.int64(), pa.string())
             yield pa.RecordBatch.from_arrays([pa.array([r[k] for r in rows], t) for k, t in enumerate(kinds)], ["media", "payload_bytes", "payload_sha256", "tail_crc32", "feature"])
 
-    return whole.mapInArrow(run, "media binary, payload_bytes long, payload_sha256 string, tail_crc32 long, feature string")
+    return whole.mapInArrow(lean(run), "media binary, payload_bytes long, payload_sha256 string, tail_crc32 long, feature string")
 
 
 def write_store(docs: DataFrame, folder: str) -> None:

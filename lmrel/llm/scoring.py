@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import lean, table
 from .grams import each_slab
 
 CLASSES, WIDTH, SIDES, STEP, RATE = 256, 16, (-2, -1, 1, 2), 4096, 4.0
@@ -98,8 +98,8 @@ def vocabulary(docs: DataFrame) -> Vocabulary:
             yield batch.filter(pa.array(several))
         yield pa.RecordBatch.from_arrays([pa.array([None], pa.int64()), pa.array([once], pa.int64())], ["w", "n"])
 
-    sent = docs.select(F.col("text").cast("string")).mapInArrow(count, "w long, n long")
-    got = sent.groupBy("w").agg(F.sum("n").alias("n")).mapInArrow(fold, "w long, n long").toArrow()
+    sent = docs.select(F.col("text").cast("string")).mapInArrow(lean(count), "w long, n long")
+    got = sent.groupBy("w").agg(F.sum("n").alias("n")).mapInArrow(lean(fold), "w long, n long").toArrow()
     known = got.filter(got.column("w").is_valid())
     once = int(got.filter(got.column("w").is_null()).column("n").to_numpy().sum())
     return dealt(known.column("w").to_numpy().view(np.uint64), known.column("n").to_numpy(), once)
@@ -163,7 +163,7 @@ def fit(docs: DataFrame) -> Model:
             if n:
                 yield pa.RecordBatch.from_arrays([pa.array(np.arange(_SIZE, dtype=np.int32)), pa.array(own.astype(np.float64) * n), pa.array(np.full(_SIZE, n, dtype=np.int64))], ["i", "v", "n"])
 
-        rows = texts.where(F.pmod(F.xxhash64("text"), F.lit(ROUNDS)) == r).mapInArrow(run, "i int, v double, n long")
+        rows = texts.where(F.pmod(F.xxhash64("text"), F.lit(ROUNDS)) == r).mapInArrow(lean(run), "i int, v double, n long")
         got = rows.groupBy("i").agg((F.sum("v") / F.sum("n")).alias("v")).orderBy("i").collect()
         if got:
             flat = np.array([x.v for x in got], dtype=np.float32)
@@ -190,7 +190,7 @@ def scored(docs: DataFrame, model: Model) -> DataFrame:
             mean = pa.array(total / np.maximum(count, 1), mask=count == 0)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(count), pa.array(total), mean], ["doc_id", "n_words", "log_likelihood", "mean"])
 
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, n_words long, log_likelihood double, mean double")
+    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(lean(run), "doc_id long, n_words long, log_likelihood double, mean double")
 
 
 def op5_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -25,7 +25,7 @@ from numpy.lib.stride_tricks import sliding_window_view
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import lean, table
 from .grams import each_slab, slabs, strings, window_hashes
 from .jaccard import grouped
 
@@ -100,8 +100,8 @@ def _seeds(docs: DataFrame) -> DataFrame:
                 doc, blobs = _blobs(doc[order], k[order])
                 yield pa.RecordBatch.from_arrays([pa.array(doc, pa.int64()), pa.array(blobs, pa.binary())], ["doc_id", "anchors"])
 
-    sent = docs.where("doc_id IS NOT NULL").mapInArrow(send, "k long, doc_id long, known binary")
-    return sent.repartition("k").sortWithinPartitions("k", "doc_id").mapInArrow(meet, "doc_id long, anchors binary")
+    sent = docs.where("doc_id IS NOT NULL").mapInArrow(lean(send), "k long, doc_id long, known binary")
+    return sent.repartition("k").sortWithinPartitions("k", "doc_id").mapInArrow(lean(meet), "doc_id long, anchors binary")
 
 
 _MARKS = "doc_id long, at int, bits int"
@@ -201,8 +201,8 @@ def _extended(docs: DataFrame, seeds: DataFrame) -> DataFrame:
 
     lists = seeds.groupBy("doc_id").agg(F.collect_list("anchors").alias("anchors"))
     rows = docs.join(lists.hint("shuffle_hash"), "doc_id").select("doc_id", "text", "anchors")
-    sent = rows.mapInArrow(send, f"k long, {_MARKS}, own binary")
-    return sent.repartition("k").sortWithinPartitions("k", "doc_id", "at").mapInArrow(meet, _MARKS)
+    sent = rows.mapInArrow(lean(send), f"k long, {_MARKS}, own binary")
+    return sent.repartition("k").sortWithinPartitions("k", "doc_id", "at").mapInArrow(lean(meet), _MARKS)
 
 
 def _covered(n: int, marks: list[dict]) -> np.ndarray:
@@ -266,7 +266,7 @@ def digests(docs: DataFrame) -> DataFrame:
             yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array([r[k] for r in rows], t) for k, t in enumerate((pa.int64(), pa.int64(), pa.string())))], ["doc_id", "n_words", "n_removed", "kept_sha256"])
 
     own = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
-    return marked(own).select("doc_id", "text", "marks").mapInArrow(run, "doc_id long, n_words long, n_removed long, kept_sha256 string")
+    return marked(own).select("doc_id", "text", "marks").mapInArrow(lean(run), "doc_id long, n_words long, n_removed long, kept_sha256 string")
 
 
 def without_repeats(docs: DataFrame) -> DataFrame:
@@ -294,7 +294,7 @@ def without_repeats(docs: DataFrame) -> DataFrame:
             columns[place] = pa.array(texts, batch.schema.field(place).type)
             yield pa.RecordBatch.from_arrays(columns, names).filter(pa.array(stay, pa.bool_()))
 
-    out = marked(docs).select(*names, "marks").mapInArrow(run, schema)
+    out = marked(docs).select(*names, "marks").mapInArrow(lean(run), schema)
     if "n_chars" in names:
         out = out.withColumn("n_chars", F.coalesce(F.length("text"), F.lit(0)).cast(schema["n_chars"].dataType))
     return out.select(*names)

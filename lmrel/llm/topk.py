@@ -20,7 +20,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .common import reliable, table
+from .common import lean, reliable, table
 
 #: Dimension groups, bytes of a broadcast block of queries, scores of a matrix held at once.
 GROUPS, BLOCK_BYTES, AT_ONCE = 4, 32 << 20, 1 << 20
@@ -123,7 +123,7 @@ def _pass(rows: DataFrame, query_ids: np.ndarray, queries: np.ndarray, k: int) -
         yield _out(ids_q, best)
 
     ranked = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
-    gathered = rows.mapInArrow(first, schema).withColumn("at", F.row_number().over(ranked)).where(F.col("at") == k)
+    gathered = rows.mapInArrow(lean(first), schema).withColumn("at", F.row_number().over(ranked)).where(F.col("at") == k)
     floor = {r.query_id: r.score for r in gathered.select("query_id", "score").collect()}
     least = np.array([floor.get(int(i), -(1 << 62)) for i in query_ids], dtype=np.float64)
     cutoff = spark.sparkContext.broadcast(least)
@@ -146,7 +146,7 @@ def _pass(rows: DataFrame, query_ids: np.ndarray, queries: np.ndarray, k: int) -
                 best.add(row[fine] + i, ids[col[fine]], score[fine])
         yield _out(ids_q, best)
 
-    return rows.mapInArrow(second, schema).withColumn("rank", F.row_number().over(ranked)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+    return rows.mapInArrow(lean(second), schema).withColumn("rank", F.row_number().over(ranked)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 
 
 def exact_top_k(vectors: DataFrame, queries: DataFrame, k: int = 5) -> DataFrame:

@@ -19,7 +19,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .boosting import Boosted, Isotonic
-from .common import table
+from .common import lean, table
 from .grams import _power, _BASE, _INVERSE, _VALUES, mix, slabs, strings, word_spans
 
 #: Labelled rows of a class (clean, toxic) that a fit takes at most; folds; most learned units.
@@ -197,7 +197,7 @@ def _unit_counts(rows: DataFrame, only: np.ndarray | None) -> DataFrame:
                     unit, n = np.unique(h[f == k], return_counts=True)
                     yield pa.RecordBatch.from_arrays([pa.array(unit.view(np.int64)), pa.array(np.full(len(unit), k, np.int32)), pa.array(n.astype(np.int64))], ["unit", "fold", "n"])
 
-    return rows.select("text", "fold").mapInArrow(run, "unit long, fold int, n long").groupBy("unit", "fold").agg(F.sum("n").alias("n"))
+    return rows.select("text", "fold").mapInArrow(lean(run), "unit long, fold int, n long").groupBy("unit", "fold").agg(F.sum("n").alias("n"))
 
 
 class Model:
@@ -261,7 +261,7 @@ def fit(docs: DataFrame, labels: DataFrame) -> Model:
                     x[fold[at:to] == k] = featured(part, own, *sent.value[k])[fold[at:to] == k]
                 yield pa.RecordBatch.from_arrays([batch.column(1).slice(at, to - at), label.slice(at, to - at), *(pa.array(x[:, j]) for j in range(len(NAMES)))], ["fold", "toxic", *NAMES])
 
-    got = rows.select("text", "fold", "toxic").mapInArrow(run, "fold int, toxic int, " + ", ".join(f"{c} double" for c in NAMES)).toPandas()
+    got = rows.select("text", "fold", "toxic").mapInArrow(lean(run), "fold int, toxic int, " + ", ".join(f"{c} double" for c in NAMES)).toPandas()
     rows.unpersist()
     got = got.sort_values([*NAMES, "fold", "toxic"])
     x, y, fold = got[list(NAMES)].to_numpy(), got["toxic"].to_numpy(dtype=np.float64), got["fold"].to_numpy()
@@ -285,7 +285,7 @@ def scored(docs: DataFrame, model: Model) -> DataFrame:
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(score), pa.array((score >= 0.5).astype(np.int32))], ["doc_id", "held_out", "score", "predicted"])
 
     own = docs.select(F.col("doc_id").cast("long"), held_out(F.col("doc_id")).alias("held_out"), F.col("text").cast("string"))
-    return own.mapInArrow(run, "doc_id long, held_out boolean, score double, predicted int")
+    return own.mapInArrow(lean(run), "doc_id long, held_out boolean, score double, predicted int")
 
 
 def without_toxic(docs: DataFrame, model: Model, threshold: float = 0.5) -> DataFrame:
@@ -299,7 +299,7 @@ def without_toxic(docs: DataFrame, model: Model, threshold: float = 0.5) -> Data
             scores = [sent.value.score(data[offsets[at] : offsets[to]], offsets[at : to + 1] - offsets[at]) for at, to in slabs(offsets)]
             yield batch.filter(pa.array(np.concatenate(scores) < threshold if scores else [], pa.bool_()))
 
-    return docs.mapInArrow(run, schema)
+    return docs.mapInArrow(lean(run), schema)
 
 
 def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
