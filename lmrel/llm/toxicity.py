@@ -4,8 +4,8 @@ Features are densities of two lexicons (a short fixed list, and words and word b
 training labels single out), how often the second person stands near their hits, capitals,
 punctuation and obfuscated spellings.  Labels come only from training rows; scores never see
 labels, lang, source or doc_id.  The model is fitted on a bounded, hash-chosen sample of labelled
-rows (``SAMPLE`` per class); counts of a sample are made by Spark, features of texts by numpy over
-Arrow batches.
+rows (``SAMPLE`` per class); a lexicon has at most ``UNITS`` units, the best of all that the sample
+holds; counts of a sample are made by Spark, features of texts by numpy over Arrow batches.
 """
 
 from __future__ import annotations
@@ -86,6 +86,8 @@ def fingerprints(words: list[str]) -> np.ndarray:
 
 _FIXED, _SECOND = fingerprints(INSULTS), fingerprints(SECOND)
 _PLAIN = frozenset(INSULTS)
+_LONGEST = max(map(len, INSULTS))
+_ASCII_LETTER = ((_BYTES >= 65) & (_BYTES <= 90)) | ((_BYTES >= 97) & (_BYTES <= 122))
 
 
 def _found(keys: np.ndarray, sorted_keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -134,7 +136,9 @@ def featured(data: np.ndarray, offsets: np.ndarray, keys: np.ndarray, weights: n
     letter_at, odd_at = np.concatenate([[0], np.cumsum(_LETTER[data])]), np.concatenate([[0], np.cumsum(_MARK[data] | _DIGIT[data])])
     inside = (odd_at[np.maximum(ends - 1, starts)] - odd_at[np.minimum(starts + 1, ends)] > 0) & (letter_at[ends] - letter_at[starts] >= 2)
     doc = np.repeat(np.arange(n), np.diff(bounds))
-    odd = np.flatnonzero(inside & (ends - starts <= 40))
+    # a spelling keeps all ASCII letters of its word, so a word with more of them than any insult has hides none
+    plain_at = np.concatenate([[0], np.cumsum(_ASCII_LETTER[data])])
+    odd = np.flatnonzero(inside & (plain_at[ends] - plain_at[starts] <= _LONGEST))
     hidden, raw = np.zeros(n), data.tobytes()
     for i in odd:
         spelled = _LETTERS_ONLY.sub("", raw[starts[i] : ends[i]].decode("utf-8", "ignore").lower().strip(".,;:!?\"'()").translate(_LEET))
@@ -173,31 +177,58 @@ def sampled(docs: DataFrame, labels: DataFrame) -> tuple[DataFrame, dict[int, fl
     return rows.select("doc_id", "text", "toxic", _fold(F.col("doc_id")).alias("fold")), weights
 
 
-def _unit_counts(rows: DataFrame, only: np.ndarray | None) -> DataFrame:
-    """unit, fold, n: documents that have a unit (of ``only``, if given)."""
+def _unit_counts(rows: DataFrame) -> DataFrame:
+    """unit, c{0,1}{fold}: documents of each class and fold that have a unit, by Spark over all units."""
 
     def run(batches):
         for batch in batches:
             data, offsets = strings(batch.column(0))
-            fold = np.asarray(batch.column(1))
+            group = FOLDS * np.asarray(batch.column(1)) + np.asarray(batch.column(2))
             for at, to in slabs(offsets):
                 w = Words(data[offsets[at] : offsets[to]], offsets[at : to + 1] - offsets[at])
                 seen = []
                 for doc, h in w.units():
-                    if only is not None:
-                        ok = _found(h, only)[0]
-                        doc, h = doc[ok], h[ok]
                     order = np.lexsort((doc, h))
                     doc, h = doc[order], h[order]
                     new = np.ones(len(h), dtype=bool)
                     new[1:] = (h[1:] != h[:-1]) | (doc[1:] != doc[:-1])
-                    seen.append((h[new], fold[at + doc[new]]))
-                h, f = (np.concatenate(x) for x in zip(*seen))
-                for k in range(FOLDS):
-                    unit, n = np.unique(h[f == k], return_counts=True)
-                    yield pa.RecordBatch.from_arrays([pa.array(unit.view(np.int64)), pa.array(np.full(len(unit), k, np.int32)), pa.array(n.astype(np.int64))], ["unit", "fold", "n"])
+                    seen.append((h[new], group[at + doc[new]]))
+                h, g = (np.concatenate(x) for x in zip(*seen))
+                for k in np.unique(g).tolist():
+                    unit, n = np.unique(h[g == k], return_counts=True)
+                    yield pa.RecordBatch.from_arrays([pa.array(unit.view(np.int64)), pa.array(np.full(len(unit), k, np.int32)), pa.array(n.astype(np.int64))], ["unit", "g", "n"])
+
+    counts = [F.sum(F.when(F.col("g") == FOLDS * c + k, F.col("n")).otherwise(0)).alias(f"c{c}{k}") for c in (0, 1) for k in range(FOLDS)]
+    return rows.select("text", "toxic", "fold").mapInArrow(lean(run), "unit long, g int, n long").groupBy("unit").agg(*counts)
+
 
-    return rows.select("text", "fold").mapInArrow(lean(run), "unit long, fold int, n long").groupBy("unit", "fold").agg(F.sum("n").alias("n"))
+def _lexicons(counts: DataFrame, sizes: dict[tuple[int, int], int]) -> list[tuple[np.ndarray, np.ndarray]]:
+    """For each fold (of the others) and for all: the units that toxic documents have far more often than
+    chance has it, with their log odds ratio.
+
+    The odds of every unit with three toxic documents or more are found by Spark; the UNITS of the
+    best lower bound (ratio less two spreads, ties to the smaller fingerprint) come to the driver.
+    """
+    chosen = []
+    for k in [*range(FOLDS), None]:
+        use = [i for i in range(FOLDS) if i != k]
+        n0, n1 = (float(sum(sizes.get((c, i), 0) for i in use)) for c in (0, 1))
+        clean, toxic = (sum((F.col(f"c{c}{i}") for i in use), F.lit(0)).cast("double") for c in (0, 1))
+        a, b = (F.least((x + 0.5) / (n + 1), F.lit(0.999)) for x, n in ((toxic, n1), (clean, n0)))
+        ratio, spread = F.log(a / (1 - a)) - F.log(b / (1 - b)), F.sqrt(1 / (toxic + 0.5) + 1 / (clean + 0.5))
+        fit = (toxic >= 3) & (ratio > 1.5) & (ratio > 2.5 * spread) & (toxic * n0 > 4 * clean * n1)
+        own = counts.where(fit).select(F.lit(-1 if k is None else k).alias("k"), "unit", ratio.alias("ratio"), (ratio - 2 * spread).alias("worth"))
+        chosen.append(own.orderBy(F.desc("worth"), "unit").limit(UNITS))
+    got = chosen[0]
+    for c in chosen[1:]:
+        got = got.unionByName(c)
+    got, out = got.toPandas(), []
+    for k in [*range(FOLDS), -1]:
+        own = got[got["k"] == k]
+        units = own["unit"].to_numpy().astype(np.int64).view(np.uint64)
+        order = np.argsort(units)
+        out.append((units[order], own["ratio"].to_numpy(dtype=np.float64)[order]))
+    return out
 
 
 class Model:
@@ -214,20 +245,15 @@ class Model:
         return np.clip(self.calibration(self.trees.margin(x)), 0.0, 1.0)
 
 
-def _lexicon(units: np.ndarray, toxic: np.ndarray, clean: np.ndarray, n_toxic: float, n_clean: float) -> tuple[np.ndarray, np.ndarray]:
-    """Units whose documents are toxic far more often than chance has it, with their log odds ratio."""
-    a, b = (toxic + 0.5) / (n_toxic + 1), (clean + 0.5) / (n_clean + 1)
-    ratio = np.log(a / (1 - np.minimum(a, 0.999))) - np.log(b / (1 - np.minimum(b, 0.999)))
-    spread = np.sqrt(1 / (toxic + 0.5) + 1 / (clean + 0.5))
-    ok = (toxic >= 3) & (ratio > 1.5) & (ratio > 2.5 * spread) & (toxic * n_clean > 4 * clean * n_toxic)
-    best = np.flatnonzero(ok)
-    best = best[np.argsort(-(ratio - 2 * spread)[best], kind="stable")[:UNITS]]
-    best = best[np.argsort(units[best])]
-    return units[best], ratio[best]
-
-
 def fit(docs: DataFrame, labels: DataFrame) -> Model:
-    """A model of the training rows; units of a row's own fold are not used for its features while fitting."""
+    """A model of the training rows; units of a row's own fold are not used for its features while fitting.
+
+    ``docs`` has doc_id and text, ``labels`` doc_id and toxic; other columns are not read.  Null texts
+    are empty texts; rows of null doc_id, of no label, or of a label other than 0 and 1 teach nothing;
+    a doc_id with several labels counts with the highest, a repeated document once a row.  Whole
+    texts are read, however long.  Empty tables, or labels of one class, give the model of the fixed
+    lexicon alone.  Columns of any other name may be there, and none is added to ``docs``.
+    """
     spark = docs.sparkSession
     rows, class_weight = sampled(docs, labels)
     rows = rows.persist()
@@ -236,18 +262,9 @@ def fit(docs: DataFrame, labels: DataFrame) -> Model:
     if min(total) < 2:
         rows.unpersist()
         return Model(np.zeros(0, np.uint64), np.zeros(0), None, None)
-    common = _unit_counts(rows.where("toxic = 1"), None).groupBy("unit").agg(*[F.sum(F.when(F.col("fold") == k, F.col("n")).otherwise(0)).alias(f"f{k}") for k in range(FOLDS)])
-    common = common.withColumn("n", sum(F.col(f"f{k}") for k in range(FOLDS))).where("n >= 3").orderBy(F.desc("n"), "unit").limit(60_000).toPandas()
-    units = common["unit"].to_numpy().astype(np.int64).view(np.uint64)
-    order = np.argsort(units)
-    units, toxic = units[order], common[[f"f{k}" for k in range(FOLDS)]].to_numpy(dtype=np.float64)[order]
-    clean = np.zeros_like(toxic)
-    counted = _unit_counts(rows.where("toxic = 0"), units).toPandas()
-    clean[np.searchsorted(units, counted["unit"].to_numpy().astype(np.int64).view(np.uint64)), counted["fold"].to_numpy()] = counted["n"]
-    lexicons = []
-    for k in [*range(FOLDS), None]:
-        use = [i for i in range(FOLDS) if i != k]
-        lexicons.append(_lexicon(units, toxic[:, use].sum(axis=1), clean[:, use].sum(axis=1), sum(sizes.get((1, i), 0) for i in use), sum(sizes.get((0, i), 0) for i in use)))
+    counts = _unit_counts(rows).where(" + ".join(f"c1{k}" for k in range(FOLDS)) + " >= 3").persist()
+    lexicons = _lexicons(counts, sizes)
+    counts.unpersist()
     sent = spark.sparkContext.broadcast(lexicons)
 
     def run(batches):
@@ -274,7 +291,12 @@ def fit(docs: DataFrame, labels: DataFrame) -> Model:
 
 
 def scored(docs: DataFrame, model: Model) -> DataFrame:
-    """doc_id, held_out, score, predicted of every row; null and empty texts score as texts of no words."""
+    """doc_id, held_out, score, predicted of every row.
+
+    Null and empty texts score as texts of no words; a null doc_id hashes as an empty one; repeated
+    rows give repeated results and equal texts equal scores; an empty table gives an empty result;
+    columns other than doc_id and text are not read.
+    """
     sent = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches):
@@ -289,7 +311,10 @@ def scored(docs: DataFrame, model: Model) -> DataFrame:
 
 
 def without_toxic(docs: DataFrame, model: Model, threshold: float = 0.5) -> DataFrame:
-    """The rows of ``docs`` that score under the threshold, with all their columns."""
+    """The rows of ``docs`` that score under the threshold, with all their columns, whatever their names.
+
+    Null and empty texts are scored as texts of no words, repeated rows each for itself.
+    """
     sent, schema = docs.sparkSession.sparkContext.broadcast(model), docs.schema
     place = docs.columns.index("text")
 
@@ -303,6 +328,9 @@ def without_toxic(docs: DataFrame, model: Model, threshold: float = 0.5) -> Data
 
 
 def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Every whole text of ``documents`` scored by a model of its labelled training rows."""
+    """Every whole text of ``documents`` scored by a model of its labelled training rows.
+
+    One row for each row of ``documents``, nulls, empty texts and repeats as ``scored`` defines them.
+    """
     docs = table(spark, sf_dir, "documents")
     return scored(docs, fit(docs, table(spark, sf_dir, "labels")))
