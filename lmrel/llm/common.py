@@ -42,6 +42,12 @@ def unused(name: str, taken: Iterable[str]) -> str:
     return name
 
 
+def typed(df: DataFrame, **kinds: str) -> DataFrame:
+    """The named columns, cast where they have another type; the same plan where they have it already, so exchanges are reused."""
+    have = dict(df.dtypes)
+    return df.select(*(F.col(c) if have[c] == kind else F.col(c).cast(kind).alias(c) for c, kind in kinds.items()))
+
+
 def give_back() -> None:
     """Hands the memory that a worker has freed back to the system, which its allocators else keep."""
     pa.default_memory_pool().release_unused()

@@ -11,6 +11,10 @@ What an Arrow batch already shows is settled there: an anchor or a window goes o
 with the smallest document of the batch (a window with all its places there), so copies in
 thousands of documents cost a row per batch.
 A window is known by its anchor (64 bits), the anchor's place in it and 48 more bits.
+
+An anchor that goes out more than HOT times (boilerplate beginnings and the like) is hot: the
+windows around it meet by anchor and window, not by anchor, so that its many contexts are dealt to
+all tasks.  The texts are dealt by doc_id once, for the anchors and for the marks alike.
 """
 
 from __future__ import annotations
@@ -25,11 +29,13 @@ from numpy.lib.stride_tricks import sliding_window_view
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import lean, table
-from .grams import each_slab, slabs, strings, window_hashes
+from .common import lean, table, typed, unused
+from .grams import each_slab, mix, slabs, strings, window_hashes
 from .jaccard import grouped
 
 LENGTH, ANCHOR = 13, 5
+#: Rows of an anchor beyond which its windows are dealt one by one.
+HOT = 20_000
 _U = np.uint64
 _I = np.int64
 
@@ -58,7 +64,11 @@ def _blobs(row: np.ndarray, values: np.ndarray) -> tuple[np.ndarray, list[bytes]
 
 
 def _seeds(docs: DataFrame) -> DataFrame:
-    """doc_id and the anchors (bytes of 64-bit integers) that other documents have too, in several rows."""
+    """doc_id and the anchors (bytes of 64-bit integers) that other documents have too, in several rows.
+
+    ``hot`` are those of them that go out more than HOT times.
+    """
+    most = HOT
 
     def send(batches):
         for batch in batches:
@@ -88,37 +98,46 @@ def _seeds(docs: DataFrame) -> DataFrame:
         for part in grouped(batches, 1):
             known = part.column("known").combine_chunks()
             settled = known.is_valid()
-            yield pa.RecordBatch.from_arrays([part.column("doc_id").combine_chunks().filter(settled), known.filter(settled)], ["doc_id", "anchors"])
+            yield pa.RecordBatch.from_arrays([part.column("doc_id").combine_chunks().filter(settled), known.filter(settled), pa.nulls(int(np.sum(np.asarray(settled))), pa.binary())], ["doc_id", "anchors", "hot"])
             open_rows = np.flatnonzero(~np.asarray(settled))
             k, doc = part.column("k").to_numpy()[open_rows], part.column("doc_id").to_numpy()[open_rows]
             if len(k):
                 begin = np.flatnonzero(np.append(True, k[1:] != k[:-1]))
                 end = np.append(begin[1:], len(k))
-                keep = np.repeat(doc[end - 1] != doc[begin], end - begin)
-                k, doc = k[keep], doc[keep]
-                order = np.argsort(doc, kind="stable")
-                doc, blobs = _blobs(doc[order], k[order])
-                yield pa.RecordBatch.from_arrays([pa.array(doc, pa.int64()), pa.array(blobs, pa.binary())], ["doc_id", "anchors"])
+                several = doc[end - 1] != doc[begin]
+                for many in (False, True):
+                    keep = np.repeat(several & ((end - begin > most) == many), end - begin)
+                    own, anchors = doc[keep], k[keep]
+                    order = np.argsort(own, kind="stable")
+                    own, blobs = _blobs(own[order], anchors[order])
+                    columns = [pa.array(blobs, pa.binary()), pa.nulls(len(blobs), pa.binary())]
+                    yield pa.RecordBatch.from_arrays([pa.array(own, pa.int64()), *(columns[::-1] if many else columns)], ["doc_id", "anchors", "hot"])
 
     sent = docs.where("doc_id IS NOT NULL").mapInArrow(lean(send), "k long, doc_id long, known binary")
-    return sent.repartition("k").sortWithinPartitions("k", "doc_id").mapInArrow(lean(meet), "doc_id long, anchors binary")
+    return sent.repartition("k").sortWithinPartitions("k", "doc_id").mapInArrow(lean(meet), "doc_id long, anchors binary, hot binary")
 
 
-_MARKS = "doc_id long, at int, bits int"
+_MARKS = "doc_id long, of long, at int, bits int"
 
 
 def _extended(docs: DataFrame, seeds: DataFrame) -> DataFrame:
-    """doc_id, first window of a run and the bits of its repeated windows."""
+    """doc_id, of, first window of a run and the bits of its repeated windows.
+
+    ``docs`` has doc_id, text and, where a doc_id has several texts, ``of``: which of them it is (else 0).
+    """
+    names = ["doc_id", "of", "at", "bits"]
 
-    def pack(doc, at, bits):
-        return [pa.array(doc, pa.int64()), pa.array(at.astype(np.int32)), pa.array(bits.astype(np.int32))]
+    def pack(doc, of, at, bits):
+        return [pa.array(doc, pa.int64()), pa.array(of, pa.int64()), pa.array(at.astype(np.int32)), pa.array(bits.astype(np.int32))]
 
     def send(batches):
         for batch in batches:
-            ids, lists = batch.column(0).to_numpy(), batch.column(2)
-            wanted = [np.unique(np.frombuffer(b"".join(x.as_py()), dtype=np.uint64)) for x in lists]
+            ids, which = batch.column(0).to_numpy(), batch.column(1).to_numpy()
+            warm, hot = ([np.unique(np.frombuffer(b"".join(x.as_py()), dtype=np.uint64)) for x in batch.column(c)] for c in (3, 4))
+            wanted = [np.union1d(a, b) if len(b) else a for a, b in zip(warm, hot)]
+            dealt = np.unique(np.concatenate([np.zeros(0, np.uint64), *hot]))
             got = {c: [np.zeros(0, t)] for c, t in (("row", _I), ("at", _I), ("anchor", np.uint64), ("own", np.uint64))}
-            for row, at, anchor, own in _windows(batch.column(1)):
+            for row, at, anchor, own in _windows(batch.column(2)):
                 ok = np.zeros(len(row), dtype=bool)
                 begin = np.flatnonzero(np.diff(row, prepend=-1))
                 for x, y in zip(begin.tolist(), [*begin[1:].tolist(), len(row)]):
@@ -129,11 +148,12 @@ def _extended(docs: DataFrame, seeds: DataFrame) -> DataFrame:
                 for c, v in (("row", row), ("at", at), ("anchor", anchor), ("own", own)):
                     got[c].append(v[ok])
             row, at, anchor, own = (np.concatenate(got[c]) for c in ("row", "at", "anchor", "own"))
-            doc = ids[row]
-            # a run: neighbouring windows of a row with one anchor in one place
-            run = np.ones(len(row), dtype=bool)
+            doc, text = ids[row], which[row]
+            # a run: neighbouring windows of a row with one anchor in one place; around a hot anchor each window by itself
+            run, alone = np.ones(len(row), dtype=bool), np.isin(anchor, dealt) if len(dealt) else np.zeros(len(row), dtype=bool)
             place = at + (own >> _U(48)).astype(_I)
-            run[1:] = (row[1:] != row[:-1]) | (at[1:] != at[:-1] + 1) | (place[1:] != place[:-1]) | (anchor[1:] != anchor[:-1])
+            run[1:] = alone[1:] | (row[1:] != row[:-1]) | (at[1:] != at[:-1] + 1) | (place[1:] != place[:-1]) | (anchor[1:] != anchor[:-1])
+            key = np.where(alone, mix(anchor ^ mix(own)), anchor)
             begin = np.flatnonzero(run)
             of = np.cumsum(run) - 1
             order = np.lexsort((doc, own, anchor))
@@ -149,7 +169,7 @@ def _extended(docs: DataFrame, seeds: DataFrame) -> DataFrame:
             bit = (np.int64(1) << (np.arange(len(row)) - begin[of])) if len(row) else np.zeros(0, _I)
             bits = np.bincount(of, weights=bit * repeated, minlength=len(begin)).astype(_I)
             has = bits > 0
-            yield pa.RecordBatch.from_arrays([pa.array(doc[begin[has]], pa.int64()), *pack(doc[begin[has]], at[begin[has]], bits[has]), pa.nulls(int(has.sum()), pa.binary())], ["k", "doc_id", "at", "bits", "own"])
+            yield pa.RecordBatch.from_arrays([pa.array(doc[begin[has]], pa.int64()), *pack(doc[begin[has]], text[begin[has]], at[begin[has]], bits[has]), pa.nulls(int(has.sum()), pa.binary())], ["k", *names, "own"])
             sent = np.flatnonzero(np.bincount(of, weights=open_, minlength=len(begin)) > 0) if len(row) else np.zeros(0, _I)
             # the anchor's place falls by one from window to window: its first, then 48 bits a window
             raw = own.astype("<u8").view(np.uint8).reshape(-1, 8)[:, :6].tobytes()
@@ -157,19 +177,19 @@ def _extended(docs: DataFrame, seeds: DataFrame) -> DataFrame:
             # equal runs of a document go once, the further places (32 bits each) behind the windows, their number as bits
             places: dict[tuple, list[int]] = {}
             for i, b in zip(sent.tolist(), begin[sent].tolist()):
-                places.setdefault((doc[b], anchor[b], start[i : i + 1] + raw[ends[i] : ends[i + 1]]), []).append(b)
+                places.setdefault((doc[b], text[b], key[b], start[i : i + 1] + raw[ends[i] : ends[i + 1]]), []).append(b)
             at_ = np.array([p[0] for p in places.values()], dtype=_I)
             more = np.array([len(p) - 1 for p in places.values()], dtype=_I)
-            blobs = [blob + at[p[1:]].astype("<i4").tobytes() if len(p) > 1 else blob for (_, _, blob), p in places.items()]
-            yield pa.RecordBatch.from_arrays([pa.array(anchor[at_].view(_I)), *pack(doc[at_], at[at_], more), pa.array(blobs, pa.binary())], ["k", "doc_id", "at", "bits", "own"])
+            blobs = [blob + at[p[1:]].astype("<i4").tobytes() if len(p) > 1 else blob for (*_, blob), p in places.items()]
+            yield pa.RecordBatch.from_arrays([pa.array(key[at_].view(_I)), *pack(doc[at_], text[at_], at[at_], more), pa.array(blobs, pa.binary())], ["k", *names, "own"])
 
     def meet(batches):
         for part in grouped(batches, 1):
             blobs = part.column("own").combine_chunks()
             settled = np.asarray(blobs.is_valid()) == False  # noqa: E712
-            doc, at, bits, k = (part.column(c).to_numpy() for c in ("doc_id", "at", "bits", "k"))
+            doc, text, at, bits, k = (part.column(c).to_numpy() for c in (*names, "k"))
             if settled.any():
-                yield pa.RecordBatch.from_arrays(pack(doc[settled], at[settled], bits[settled]), ["doc_id", "at", "bits"])
+                yield pa.RecordBatch.from_arrays(pack(doc[settled], text[settled], at[settled], bits[settled]), names)
             rest = np.flatnonzero(~settled)
             if not len(rest):
                 continue
@@ -193,16 +213,17 @@ def _extended(docs: DataFrame, seeds: DataFrame) -> DataFrame:
             repeated[order] = d_ > d_[first][np.cumsum(first) - 1]
             bits = np.bincount(of, weights=bit * repeated, minlength=len(rest)).astype(_I)
             has = bits > 0
-            yield pa.RecordBatch.from_arrays(pack(doc[rest][has], at[rest][has], bits[has]), ["doc_id", "at", "bits"])
+            yield pa.RecordBatch.from_arrays(pack(doc[rest][has], text[rest][has], at[rest][has], bits[has]), names)
             again = [i for i in further if has[i]]
             if again:
                 n = [len(further[i]) for i in again]
-                yield pa.RecordBatch.from_arrays(pack(np.repeat(doc[rest][again], n), np.concatenate([further[i] for i in again]), np.repeat(bits[again], n)), ["doc_id", "at", "bits"])
+                yield pa.RecordBatch.from_arrays(pack(np.repeat(doc[rest][again], n), np.repeat(text[rest][again], n), np.concatenate([further[i] for i in again]), np.repeat(bits[again], n)), names)
 
-    lists = seeds.groupBy("doc_id").agg(F.collect_list("anchors").alias("anchors"))
-    rows = docs.join(lists.hint("shuffle_hash"), "doc_id").select("doc_id", "text", "anchors")
+    lists = seeds.groupBy("doc_id").agg(F.collect_list("anchors").alias("anchors"), F.collect_list("hot").alias("hot"))
+    which = F.col("of") if "of" in docs.columns else F.lit(0).cast("long").alias("of")
+    rows = docs.join(lists, "doc_id").select("doc_id", which, "text", "anchors", "hot")
     sent = rows.mapInArrow(lean(send), f"k long, {_MARKS}, own binary")
-    return sent.repartition("k").sortWithinPartitions("k", "doc_id", "at").mapInArrow(lean(meet), _MARKS)
+    return sent.repartition("k").sortWithinPartitions("k", "doc_id", "of", "at").mapInArrow(lean(meet), _MARKS)
 
 
 def _covered(n: int, marks: list[dict]) -> np.ndarray:
@@ -217,31 +238,29 @@ def _covered(n: int, marks: list[dict]) -> np.ndarray:
     return np.cumsum(edge[:n]) > 0
 
 
-def _judged(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """``docs`` with text as string, and doc_id with the list of its marks.
-
-    Where a doc_id has several texts, only the least of them takes part and can lose words.
-    """
-    own = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
-    if own.where("doc_id IS NOT NULL").groupBy("doc_id").count().where("count > 1").limit(1).count():
-        own = own.where("doc_id IS NOT NULL").groupBy("doc_id").agg(F.min("text").alias("text"))
-        marks = _extended(own, _seeds(own))
-        named = own.select("doc_id", F.xxhash64("text").alias("of"))
-        return marks.groupBy("doc_id").agg(F.collect_list(F.struct("at", "bits")).alias("marks")).join(named, "doc_id"), own
-    marks = _extended(own, _seeds(own))
-    return marks.groupBy("doc_id").agg(F.collect_list(F.struct("at", "bits")).alias("marks")).withColumn("of", F.lit(None).cast("long")), own
-
-
-def marked(docs: DataFrame) -> DataFrame:
-    """``docs`` with a column ``marks``: the runs of repeated windows of the row's text (null: none).
+def marked(docs: DataFrame, name: str = "marks") -> DataFrame:
+    """``docs`` with a column ``name``: the runs of repeated windows of the row's text (null: none).
 
     Null and empty texts have no words; a null doc_id neither removes nor loses anything; equal
-    texts under one doc_id are one document.
+    texts under one doc_id are one document, and different ones of it are judged each for itself
+    against the smaller doc_ids; an empty table stays empty.  ``name`` must not be a column of
+    ``docs``; any other column may be there.
     """
-    marks, _ = _judged(docs)
-    marks = marks.withColumnRenamed("doc_id", "marked_id")
-    test = (docs["doc_id"].cast("long") == marks["marked_id"]) & (marks["of"].isNull() | (marks["of"] == F.xxhash64(docs["text"].cast("string"))))
-    return docs.join(marks.hint("shuffle_hash"), test, "left").drop("marked_id", "of")
+    if unused(name, docs.columns) != name:
+        raise ValueError(f"column {name} exists already")
+    id_, of_ = (unused(x, [*docs.columns, name]) for x in ("marked_id", "marked_of"))
+    known = docs.where(F.col("doc_id").isNotNull())
+    # the texts of the first join and those of the last are dealt by doc_id by one and the same exchange
+    own = typed(known, doc_id="bigint", text="string")
+    several = bool(own.groupBy("doc_id").count().where("count > 1").limit(1).count())
+    if several:
+        own = own.withColumn("of", F.xxhash64("text")).dropDuplicates(["doc_id", "of"])
+    marks = _extended(own, _seeds(own.select("doc_id", "text"))).groupBy("doc_id", *(["of"] if several else [])).agg(F.collect_list(F.struct("at", "bits")).alias(name))
+    marks = marks.select(F.col("doc_id").alias(id_), F.col("of").alias(of_), name) if several else marks.select(F.col("doc_id").alias(id_), name)
+    same = known["doc_id"].cast("long") == marks[id_]
+    out = known.join(marks, same & (marks[of_] == F.xxhash64(known["text"].cast("string"))) if several else same, "left")
+    nobody = docs.where(F.col("doc_id").isNull()).withColumn(name, F.lit(None).cast(out.schema[name].dataType))
+    return out.select(*docs.columns, name).unionByName(nobody)
 
 
 def _kept(raw: bytes, marks: list[dict] | None) -> tuple[int, int, bytes, bool]:
@@ -253,7 +272,7 @@ def _kept(raw: bytes, marks: list[dict] | None) -> tuple[int, int, bytes, bool]:
 
 
 def digests(docs: DataFrame) -> DataFrame:
-    """doc_id, n_words, n_removed and kept_sha256 of every row."""
+    """doc_id, n_words, n_removed and kept_sha256 of every row; nulls, empties and repeats as ``marked`` has them."""
 
     def run(batches):
         for batch in batches:
@@ -265,7 +284,7 @@ def digests(docs: DataFrame) -> DataFrame:
                     rows.append((n, gone, hashlib.sha256(kept).hexdigest()))
             yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array([r[k] for r in rows], t) for k, t in enumerate((pa.int64(), pa.int64(), pa.string())))], ["doc_id", "n_words", "n_removed", "kept_sha256"])
 
-    own = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
+    own = typed(docs, doc_id="bigint", text="string")
     return marked(own).select("doc_id", "text", "marks").mapInArrow(lean(run), "doc_id long, n_words long, n_removed long, kept_sha256 string")
 
 
@@ -273,8 +292,10 @@ def without_repeats(docs: DataFrame) -> DataFrame:
     """``docs`` with the repeated words taken out of the texts that have some; other texts stay as they are.
 
     Documents of which nothing is left are gone; ``n_chars``, if there, is that of the new text.
+    Nulls, empty texts, repeats and empty tables are those of ``marked``; columns of any name stay.
     """
     schema, names = docs.schema, docs.columns
+    marks_of = unused("marks", names)
     place = names.index("text")
 
     def run(batches):
@@ -294,7 +315,7 @@ def without_repeats(docs: DataFrame) -> DataFrame:
             columns[place] = pa.array(texts, batch.schema.field(place).type)
             yield pa.RecordBatch.from_arrays(columns, names).filter(pa.array(stay, pa.bool_()))
 
-    out = marked(docs).select(*names, "marks").mapInArrow(lean(run), schema)
+    out = marked(docs, marks_of).select(*names, marks_of).mapInArrow(lean(run), schema)
     if "n_chars" in names:
         out = out.withColumn("n_chars", F.coalesce(F.length("text"), F.lit(0)).cast(schema["n_chars"].dataType))
     return out.select(*names)
