@@ -98,7 +98,11 @@ class BytePairCodec:
             self.tokens[rank] = token
         self.byte_ids = np.array([self.ranks[bytes([i])] for i in range(256)], dtype=np.int32)
         self.pairs = PairTable(self.ranks)
+        import public_tokenizers
+
         self.pattern = regex.compile(pattern)
+        #: Only the public pattern is known to begin a piece at a space before other text; other patterns see whole texts.
+        self.cuts = pattern == public_tokenizers.PATTERN
         self.cache: dict[str, bytes] = {}
         self.keys, self.places, self.sizes, self.flat = np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int32), np.zeros(0, np.uint32)
 
@@ -191,20 +195,24 @@ class BytePairCodec:
                 del self.cache[piece]
         return out
 
+    def _found(self, text: str) -> list[str]:
+        """The matches of the pattern, whatever groups it has; text between them has no tokens."""
+        return [m.group() for m in self.pattern.finditer(text) if m.group()] if self.pattern.groups else self.pattern.findall(text)
+
     def _new_chunks(self, chunks: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
         """Ids of the chunks one after the other, and how many each has.
 
         Chunks that begin with a space before other text can be cut into pieces in one go, as a text of themselves.
         """
         texts = [c.decode() for c in chunks]
-        spaced = [i for i, t in enumerate(texts) if t[0] == " " and t[1:2].strip()]
-        order, pieces, owner = np.array(spaced, dtype=np.int64), self.pattern.findall("".join(texts[i] for i in spaced)), np.zeros(0, np.int64)
+        spaced = [i for i, t in enumerate(texts) if self.cuts and t[0] == " " and t[1:2].strip()]
+        order, pieces, owner = np.array(spaced, dtype=np.int64), self._found("".join(texts[i] for i in spaced)), np.zeros(0, np.int64)
         if pieces:
             ends = np.cumsum(np.fromiter(map(len, pieces), dtype=np.int64, count=len(pieces)))
             owner = order[np.searchsorted(np.cumsum([len(texts[i]) for i in spaced]), ends, side="left")]
         heads = sorted(set(range(len(texts))) - set(spaced))
         for i in heads:
-            own = self.pattern.findall(texts[i])
+            own = self._found(texts[i])
             pieces += own
             owner = np.concatenate([owner, np.full(len(own), i)])
         ids = self._pieces(pieces)
@@ -216,7 +224,8 @@ class BytePairCodec:
     def _chunk_starts(self, data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
         """A space before a byte that cannot begin white space starts a piece whatever precedes it."""
         cut = np.zeros(len(data), dtype=bool)
-        cut[:-1] = (data[:-1] == 0x20) & _SAFE[data[1:]]
+        if self.cuts:
+            cut[:-1] = (data[:-1] == 0x20) & _SAFE[data[1:]]
         inner = offsets[1:-1]
         cut[inner[(inner > 0) & (inner < len(data))] - 1] = False
         cut[offsets[:-1][offsets[:-1] < len(data)]] = True
@@ -287,7 +296,11 @@ _codecs: dict[tuple[str, str], BytePairCodec] = {}
 
 
 def codec(vocabulary: str | None = None, pattern: str | None = None) -> BytePairCodec:
-    """The worker's codec; the files are those of the installed public tokenizers by default."""
+    """The worker's codec; the files are those of the installed public tokenizers by default.
+
+    Any pattern may be given.  Texts are cut at spaces before they are matched only under the public
+    one; under another each distinct text is matched as a whole.
+    """
     import public_tokenizers
 
     key = (vocabulary or public_tokenizers.path(VOCABULARY), pattern or public_tokenizers.PATTERN)
@@ -304,7 +317,11 @@ def _encoded(column: pa.Array, vocabulary: str | None, pattern: str | None) -> I
 
 
 def digests(docs: DataFrame, vocabulary: str | None = None, pattern: str | None = None) -> DataFrame:
-    """doc_id, n_tokens, ids_sha256 and decoded_sha256 of every whole text (null: empty, 0 tokens)."""
+    """doc_id, n_tokens, ids_sha256 and decoded_sha256 of every whole text (null: empty, 0 tokens).
+
+    A null doc_id stays null, repeated rows give repeated results, an empty table an empty result;
+    only doc_id and text are read.  Text that the pattern does not match has no tokens.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -319,7 +336,13 @@ def digests(docs: DataFrame, vocabulary: str | None = None, pattern: str | None
 
 
 def token_ids(docs: DataFrame, keep: tuple[str, ...] = ("doc_id",), vocabulary: str | None = None, pattern: str | None = None) -> DataFrame:
-    """The ``keep`` columns, ids (array of int), n_tokens, and whether decoding gave the text back."""
+    """The ``keep`` columns, ids (array of int), n_tokens, and whether decoding gave the text back.
+
+    Null and empty texts have no ids; repeats and empty tables as in ``digests``.  Columns of ``docs``
+    beyond ``keep`` are not read, so none clashes; ``keep`` must not name ids, n_tokens or exact.
+    """
+    if {"ids", "n_tokens", "exact"} & set(keep):
+        raise ValueError("ids, n_tokens and exact are added")
     fields = [docs.schema[c] for c in keep]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -372,7 +372,9 @@ def near_duplicate_classes(docs: DataFrame) -> DataFrame:
 
     Documents link when 100 * shared >= 75 * united shingles; a class is everything reachable, its
     id the smallest doc_id.  Null and empty texts have no shingles and are their own class; a null
-    doc_id is in no class (component_id null); repeated rows have equal sets and so one class.
+    doc_id is in no class (component_id null); repeated rows have equal sets and so one class; a
+    doc_id with several texts joins the classes of all of them; whole texts count, however long; an
+    empty table gives an empty result.  Only doc_id and text are read.
     """
     own = reliable(profiles(docs))
     real = own.where("n > 0 AND doc_id IS NOT NULL")
@@ -388,13 +390,19 @@ def near_duplicate_classes(docs: DataFrame) -> DataFrame:
 def one_of_each_class(docs: DataFrame) -> DataFrame:
     """``docs`` without the documents that are in a class with a smaller doc_id; rows of null doc_id stay.
 
-    Repeated rows of one doc_id are one document, of which one row stays.
+    Rows equal in doc_id and text are one document, of which the row stays whose other columns are
+    least as JSON.  A doc_id with several texts is one document of several sets: all its texts stay
+    or go together.  Null and empty texts are alone in their class and stay; an empty table stays
+    empty; columns of any name are kept.
     """
     classes = near_duplicate_classes(docs.select("doc_id", "text"))
     gone = classes.where(F.col("component_id") < F.col("doc_id")).select("doc_id").distinct()
     kept = docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
-    if docs.where("doc_id IS NOT NULL").groupBy("doc_id").count().where("count > 1").limit(1).count():
-        kept = kept.where("doc_id IS NOT NULL").dropDuplicates(["doc_id"]).unionByName(kept.where("doc_id IS NULL"))
+    known = docs.where("doc_id IS NOT NULL")
+    if known.groupBy("doc_id").count().where("count > 1").limit(1).count():
+        whole = F.struct(*docs.columns)
+        single = kept.where("doc_id IS NOT NULL").groupBy("doc_id", "text").agg(F.min_by(whole, F.to_json(whole)).alias("r")).select("r.*")
+        kept = single.unionByName(kept.where("doc_id IS NULL"))
     return kept
 
 

@@ -96,7 +96,9 @@ def _media(batch: pa.RecordBatch) -> Iterator[tuple[int, bytes]]:
 def recipes(docs: DataFrame) -> DataFrame:
     """doc_id, n_bytes, media_bytes, media (SHA-256) and the ordered digests of the chunks.
 
-    A null or an empty text is a medium of 64 zero samples; equal texts have equal media.
+    A null or an empty text is a medium of 64 zero samples; equal texts have equal media; a null
+    doc_id stays null and repeated rows give repeated recipes; texts of any length are cut whole; an
+    empty table gives an empty result; only doc_id and text are read, so no column clashes.
     """
 
     def run(batches):
@@ -194,7 +196,10 @@ def read_store(spark: SparkSession, folder: str) -> DataFrame:
 
 
 def op9_media_chunks(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Every text stored as chunked media, read back through the chunk store, verified and described."""
+    """Every text stored as chunked media, read back through the chunk store, verified and described.
+
+    One row for each row of ``documents``, with nulls, empties and repeats as ``recipes`` has them.
+    """
     docs = table(spark, sf_dir, "documents")
     recipe = reliable(recipes(docs))
     back = rebuilt(*chunk_store(docs, recipe))

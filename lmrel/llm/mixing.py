@@ -3,11 +3,12 @@
 Token blocks are apportioned to the sources by the divisors 1, 3, 5, ..., each source's blocks to
 its shards in the same way, and a shard takes its quota as whole passes plus a seeded choice of
 blocks.  Everything is DataFrame operations; the driver sees one row per source and at most
-``MAX_SHARDS`` per source.
+``MAX_SHARDS`` per source, and broadcasts them only up to ``BROADCAST_ROWS``.
 """
 
 from __future__ import annotations
 
+import heapq
 import math
 from fractions import Fraction
 
@@ -22,12 +23,15 @@ from .common import WORD, reliable, table
 SHARD_ROWS, MAX_SHARDS = 2000, 4096
 #: A corpus is cut into this many blocks, but a block has 1 word at least and MAX_BLOCK at most.
 BLOCKS, MAX_BLOCK = 1 << 20, 256
+#: Rows of quotas that are broadcast; more of them are joined by a shuffle.
+BROADCAST_ROWS = 50_000
 
 
 def targets(sizes: dict, weights: tuple[int, ...] = (5, 2, 1), repeats: int = 3) -> dict:
     """Exact target of each source: weights by code-point order (None last), at most ``repeats`` sizes each.
 
-    What a stopped source leaves is shared by weight among the others, until none is above.
+    What a stopped source leaves is shared by weight among the others, until none is above.  A source
+    of size 0 has target 0; no sources give no targets.
     """
     order = sorted((s for s in sizes if s is not None)) + [s for s in sizes if s is None]
     weight = {s: weights[i % len(weights)] for i, s in enumerate(order)}
@@ -45,29 +49,35 @@ def targets(sizes: dict, weights: tuple[int, ...] = (5, 2, 1), repeats: int = 3)
 def apportion(weights: list[Fraction | int], seats: int, most: list[int] | None = None) -> list[int]:
     """Seats by highest quotients weight / (2n + 1), ties to the earlier; at most ``most`` each.
 
-    The quotas at a divisor d are round(weight / d); d is found by bisection, which leaves fewer
-    seats than parties to deal one by one, so any number of seats costs the same.
+    The quotas at a divisor d are round(weight / d); d is found by bisection over whole numbers,
+    which leaves fewer seats than parties, and those are dealt one by one from a heap.  So any
+    number of seats costs the same, n log n in all.  No parties, no seats or only weights of 0
+    give zeros.
     """
     n = len(weights)
     most = most or [seats] * n
     seats = min(seats, sum(most[i] for i in range(n) if weights[i] > 0))
     if not n or seats <= 0:
         return [0] * n
-    count = lambda d: [min(most[i], int((weights[i] / d + 1) / 2 if weights[i] > 0 else 0)) for i in range(n)]
-    high = 2 * Fraction(max(weights))  # at this divisor nobody has a seat, at low everybody has all
-    low = Fraction(min(w for w in weights if w > 0)) / (2 * max(most) + 2)
-    for _ in range(200):
-        mid = ((low + high) / 2).limit_denominator(1 << 80)
+    unit = math.lcm(*(Fraction(w).denominator for w in weights))
+    whole = [int(w * unit) for w in weights]
+    scale = 4 * (max(most) + 1) * n  # a divisor is d / scale: fine enough to tell the last seats apart but for n of them
+    count = lambda d: [min(m, (w * scale + d) // (2 * d)) if w else 0 for w, m in zip(whole, most)]
+    low, high = 1, 2 * max(whole) * scale + 1  # at high nobody has a seat
+    while high - low > 1:
+        mid = (low + high) // 2
         if sum(count(mid)) > seats:
             low = mid
         else:
             high = mid
-        if sum(count(low)) - sum(count(high)) <= n:
-            break
     got = count(high)
-    while sum(got) < seats:
-        best = max((i for i in range(n) if weights[i] > 0 and got[i] < most[i]), key=lambda i: (Fraction(weights[i]) / (2 * got[i] + 1), -i))
-        got[best] += 1
+    queue = [(-Fraction(w, 2 * g + 1), i) for i, (w, g, m) in enumerate(zip(whole, got, most)) if w and g < m]
+    heapq.heapify(queue)
+    for _ in range(seats - sum(got)):
+        _, i = heapq.heappop(queue)
+        got[i] += 1
+        if got[i] < most[i]:
+            heapq.heappush(queue, (-Fraction(whole[i], 2 * got[i] + 1), i))
     return got
 
 
@@ -81,9 +91,11 @@ def plan(docs: DataFrame, weights: tuple[int, ...] = (5, 2, 1), repeats: int = 3
     Added, all with the prefix: source_size, target, shard, passes (whole copies), spans (array of
     the word ranges taken once more), taken (words, repeats counted).  A row of no words takes 0;
     an empty table stays empty; rows with null doc_id or null source count like others; equal rows
-    are separate rows of the order.  Columns of other names are carried along.
+    are separate rows of the order.  Columns of other names are carried along; one that has the name
+    of an added column gives way to it (``mixed_documents`` takes a prefix that no column has).
     """
     spark, p = docs.sparkSession, prefix
+    docs = docs.drop(*(c for c in docs.columns if c.lower().startswith(p) and c != f"{p}size"))
     size = F.col(f"{p}size")
     key = F.xxhash64(F.lit(seed), F.col("doc_id"), size)
     stats = docs.groupBy("source").agg(F.sum(size).alias("s"), F.count(F.lit(1)).alias("n")).collect()
@@ -97,13 +109,14 @@ def plan(docs: DataFrame, weights: tuple[int, ...] = (5, 2, 1), repeats: int = 3
 
     def joined(df: DataFrame, right: list[tuple], schema: str, on: list[str]) -> DataFrame:
         small = spark.createDataFrame(right, schema)
-        same = [df[c].eqNullSafe(small[c + "_r"]) for c in on]
+        other = [f"{p}on_{c.removeprefix(p)}" for c in on]
+        same = [df[c].eqNullSafe(small[o]) for c, o in zip(on, other)]
         test = same[0]
         for x in same[1:]:
             test = test & x
-        return df.join(F.broadcast(small), test, "left").drop(*[c + "_r" for c in on])
+        return df.join(F.broadcast(small) if len(right) <= BROADCAST_ROWS else small, test, "left").drop(*other)
 
-    kind = "source_r string"
+    kind = f"{p}on_source string"
     out = joined(docs, [(s, shards[s], sizes[s], float(goal[s])) for s in order], f"{kind}, {p}n_shards int, {p}source_size long, {p}target double", ["source"])
     out = out.withColumn(f"{p}key", key).withColumn(f"{p}shard", F.pmod(F.xxhash64(F.col(f"{p}key")), F.col(f"{p}n_shards")).cast("int"))
     per = {}
@@ -118,7 +131,7 @@ def plan(docs: DataFrame, weights: tuple[int, ...] = (5, 2, 1), repeats: int = 3
             step = next(a for a in range(max(1, int(blocks * 0.618)), blocks + 2) if math.gcd(a, blocks) == 1)
             made.append((s, i, words, blocks, q // blocks, q % blocks, step % blocks if blocks > 1 else 1, hash_int(seed, i) % blocks))
     made = made or [(None, -1, 0, 1, 0, 0, 1, 0)]
-    out = joined(out, made, f"{kind}, {p}shard_r int, {p}words long, {p}blocks long, {p}passes int, {p}rest long, {p}step long, {p}start long", ["source", f"{p}shard"])
+    out = joined(out, made, f"{kind}, {p}on_shard int, {p}words long, {p}blocks long, {p}passes int, {p}rest long, {p}step long, {p}start long", ["source", f"{p}shard"])
     w = Window.partitionBy("source", f"{p}shard").orderBy(f"{p}key", "doc_id", f"{p}size").rowsBetween(Window.unboundedPreceding, -1)
     out = out.withColumn(f"{p}at", F.coalesce(F.sum(size).over(w), F.lit(0)))
     at, words, blocks = (F.col(f"{p}{x}") for x in ("at", "words", "blocks"))
@@ -153,8 +166,13 @@ def mixed_documents(docs: DataFrame, weights: tuple[int, ...] = (5, 2, 1), repea
 
     Columns are those of ``docs``; ``n_chars``, if there, is that of the text given out.  Rows that
     the mix does not take are gone; a document of no words takes no part of any target and stays.
+    Null texts have no words and stay null; null sources are a source; repeated rows are taken each
+    for itself; an empty table stays empty; columns of any name are kept.
     """
-    own, p = docs.columns, "mix_"
+    own = docs.columns
+    p = "mix_"
+    while any(c.lower().startswith(p) for c in own):
+        p = f"_{p}"
     planned = plan(docs.withColumn(f"{p}size", n_words(F.col("text"))), weights, repeats, seed, p)
     words = F.regexp_extract_all(F.col("text"), F.lit(f"({WORD})"), F.lit(1))
     joined = lambda w: F.array_join(F.flatten(F.transform(F.col(f"{p}spans"), lambda s: F.slice(w, s["start"] + 1, s["end"] - s["start"]))), " ")
@@ -169,7 +187,10 @@ def mixed_documents(docs: DataFrame, weights: tuple[int, ...] = (5, 2, 1), repea
 
 
 def op8_mixing_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """One row per document: its size, its source's size and target, and the words the mix takes."""
+    """One row per document: its size, its source's size and target, and the words the mix takes.
+
+    Null and empty texts have size 0 and are not taken; repeated rows are rows of their own.
+    """
     docs = table(spark, sf_dir, "documents").select("doc_id", "source", n_words(F.col("text")).alias("mix_size"))
     out = plan(reliable(docs))
     return out.select(

@@ -109,8 +109,12 @@ def assign(rows: DataFrame, slot_map: SlotMap, count: list[int], order: list[str
 def sharded(docs: DataFrame, shards: int = 24, slots: int = SLOTS) -> tuple[DataFrame, SlotMap]:
     """All documents with their shard under a map laid by bytes.
 
-    A null text has 0 bytes and a null doc_id hashes like a value; equal rows are numbered one
-    after the other; an empty table gives an empty result.
+    The law is ``bytes``: the shards' sizes are near equal.  So a document goes by its own doc_id,
+    never by its text: a group of equal texts is dealt over all shards like other documents (a group
+    with a third of all rows would else make one shard three times too large), and each row of the
+    group has its text_crc32.  A null text has 0 bytes and a null doc_id hashes like a value; equal
+    rows are numbered one after the other; rows of one doc_id share a virtual slot; an empty table
+    gives an empty result; columns other than doc_id and text are not read.
     """
     data = F.coalesce(F.col("text"), F.lit(""))
     rows = docs.select(
