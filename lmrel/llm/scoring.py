@@ -3,8 +3,9 @@
 Every word of the corpus is counted.  The words are dealt to CLASSES by falling count, so that the
 classes weigh alike and a frequent word is a class of its own; the last class holds the words that
 occur once, of which only the number is kept, as they are alike.  A small network reads the
-classes of the two words on either side of a position and predicts the class of the word there;
-times the word's share of its class that is a probability of the word itself.
+classes of the two words on either side of a position and predicts the class of the word there, in
+two steps: first which of BRANCHES groups of neighbouring classes, then which class of the group.
+Times the word's share of its class that is a probability of the word itself.
 
 The vocabulary is a table that grows with the corpus and stays distributed.  A word's class follows
 from its count and its fingerprint, so the driver and the workers hold the words of single classes,
@@ -32,13 +33,16 @@ from pyspark.sql import functions as F
 from .common import lean, reliable, table, typed
 from .grams import each_slab
 
-CLASSES, WIDTH, SIDES = 256, 16, (-2, -1, 1, 2)
+CLASSES, BRANCHES, WIDTH, SIDES = 256, 16, 16, (-2, -1, 1, 2)
 #: Words of a step at first and at most (a shard's steps double in size), rate, and the past gradients a weight begins with.
-FIRST, STEP, RATE, PAST = 64, 512, 0.1, 1e-6
+FIRST, STEP, RATE, PAST = 64, 1024, 0.1, 1e-6
 ROUNDS, SHARD_BYTES, FREQUENT = 4, 2 << 20, 1 << 16
-#: Words that are read at once.
-PIECE = 1 << 17
-_SIZE = (len(SIDES) * (CLASSES + 1) + CLASSES) * WIDTH + CLASSES
+#: Words that are read at once, and that are scored at once.
+PIECE, BLOCK = 1 << 17, 4096
+_EACH = CLASSES // BRANCHES
+_SHAPES = ((len(SIDES), CLASSES + 1, WIDTH), (BRANCHES, WIDTH), (BRANCHES,), (BRANCHES, _EACH, WIDTH), (BRANCHES, _EACH))
+_ENDS = np.cumsum([int(np.prod(x)) for x in _SHAPES])
+_SIZE = int(_ENDS[-1])
 
 
 class Deal(NamedTuple):
@@ -99,15 +103,18 @@ class Model(NamedTuple):
 def start(deal: Deal | None = None) -> np.ndarray:
     """The network before training; a class without words has no share of the probability, then and later."""
     own = np.random.default_rng(7).normal(scale=0.3, size=_SIZE).astype(np.float32)
-    own[-CLASSES:] = 0
+    _, _, first, _, second = _parts(own)
+    first[:], second[:] = 0, 0
     if deal is not None:
-        own[-CLASSES:-1][deal.mass[:-1] < 0] = -1e4
+        closed = (deal.mass < 0).reshape(BRANCHES, _EACH)
+        closed[-1, -1] = False  # words never seen are in the last class
+        second[closed], first[closed.all(axis=1)] = -1e4, -1e4
     return own
 
 
-def _parts(flat: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    cut = len(SIDES) * (CLASSES + 1) * WIDTH
-    return flat[:cut].reshape(len(SIDES), CLASSES + 1, WIDTH), flat[cut:-CLASSES].reshape(CLASSES, WIDTH), flat[-CLASSES:]
+def _parts(flat: np.ndarray) -> list[np.ndarray]:
+    """Views: the inputs of each side, the groups' weights and biases, the classes' weights and biases by group."""
+    return [flat[z - int(np.prod(x)) : z].reshape(x) for x, z in zip(_SHAPES, _ENDS.tolist())]
 
 
 def dealt(frequent: tuple[np.ndarray, np.ndarray], histogram: dict[int, int], once: int) -> Deal:
@@ -268,14 +275,34 @@ def _positions(kinds: pa.Array) -> Iterator[tuple[np.ndarray, np.ndarray, np.nda
         at = to
 
 
-def _scores(flat: np.ndarray, around: np.ndarray, room: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """The hidden layer and, in ``room``, the classes' scores, 0 at most."""
-    inputs, out, bias = _parts(flat)
-    hidden = np.tanh(sum(inputs[i][around[i]] for i in range(len(SIDES))))
-    z = np.matmul(hidden, out.T, out=room[: len(hidden)])
-    z += bias
-    z -= z.max(axis=1, keepdims=True)
-    return hidden, z
+def _softmax(z: np.ndarray, at: np.ndarray) -> np.ndarray:
+    """The log-probability of ``at`` in each column; ``z`` becomes the probabilities."""
+    z -= z.max(axis=0)
+    own = z[at, np.arange(z.shape[1])]
+    np.exp(z, out=z)
+    total = z.sum(axis=0)
+    z /= total
+    return own - np.log(total)
+
+
+def _forward(flat: np.ndarray, kind: np.ndarray, around: np.ndarray) -> tuple:
+    """Hidden layer, group probabilities, order of the words by group, the groups' ends, class probabilities in that order, and log-probabilities."""
+    inputs, top, first, out, second = _parts(flat)
+    hidden = np.take(inputs[0], around[0], axis=0)
+    for i in range(1, len(SIDES)):
+        hidden += np.take(inputs[i], around[i], axis=0)
+    hidden /= 1 + np.abs(hidden)
+    group = (kind // _EACH).astype(np.int8)
+    p = top @ hidden.T + first[:, None]
+    logp = _softmax(p, group)
+    order = np.argsort(group, kind="stable")
+    ends = np.cumsum(np.bincount(group, minlength=BRANCHES)).tolist()
+    sorted_hidden, q = hidden[order], np.empty((_EACH, len(kind)), dtype=flat.dtype)
+    for g, (x, y) in enumerate(zip([0, *ends], ends)):
+        if y > x:
+            q[:, x:y] = out[g] @ sorted_hidden[x:y].T + second[g][:, None]
+    logp[order] += _softmax(q, (kind % _EACH)[order])
+    return hidden, p, order, ends, sorted_hidden, q, logp
 
 
 class Trainer:
@@ -286,7 +313,7 @@ class Trainer:
 
     def __init__(self, flat: np.ndarray):
         self.flat, self.past, self.slope = flat.copy(), np.full(_SIZE, PAST, dtype=np.float32), np.empty(_SIZE, dtype=np.float32)
-        self.room, self.words, self.steps = np.empty((STEP, CLASSES), dtype=np.float32), 0, 0
+        self.words, self.steps = 0, 0
         self.held: tuple[np.ndarray, np.ndarray] = np.zeros(0, np.int64), np.zeros((len(SIDES), 0), np.int64)
 
     def take(self, kind: np.ndarray, around: np.ndarray) -> None:
@@ -303,21 +330,30 @@ class Trainer:
         return self.flat
 
     def step(self, kind: np.ndarray, around: np.ndarray) -> None:
-        inputs, out, _ = _parts(self.flat)
-        d_inputs, d_out, d_bias = _parts(self.slope)
-        hidden, g = _scores(self.flat, around, self.room)
-        np.exp(g, out=g)
-        g *= (1 / len(kind)) / g.sum(axis=1, keepdims=True)
-        g[np.arange(len(kind)), kind] -= 1 / len(kind)
-        back = (g @ out) * (1 - hidden**2)
-        np.matmul(g.T, hidden, out=d_out)
-        g.sum(axis=0, out=d_bias)
-        cells = np.arange(WIDTH)
+        n, every = len(kind), np.arange(len(kind))
+        _, top, _, out, _ = _parts(self.flat)
+        d_inputs, d_top, d_first, d_out, d_second = _parts(self.slope)
+        hidden, p, order, ends, sorted_hidden, q, _ = _forward(self.flat, kind, around)
+        p[kind // _EACH, every] -= 1
+        q[(kind % _EACH)[order], every] -= 1
+        p /= n
+        q /= n
+        np.matmul(p, hidden, out=d_top)
+        p.sum(axis=1, out=d_first)
+        back, sorted_back = p.T @ top, np.empty_like(sorted_hidden)
+        for g, (x, y) in enumerate(zip([0, *ends], ends)):
+            own = q[:, x:y]
+            np.matmul(own, sorted_hidden[x:y], out=d_out[g])
+            own.sum(axis=1, out=d_second[g])
+            sorted_back[x:y] = own.T @ out[g]
+        back[order] += sorted_back
+        back *= (1 - np.abs(hidden)) ** 2
+        cells, flat_back = np.arange(WIDTH), back.ravel()
         for i in range(len(SIDES)):
-            d_inputs[i] = np.bincount((around[i][:, None] * WIDTH + cells).ravel(), back.ravel(), (CLASSES + 1) * WIDTH).reshape(CLASSES + 1, WIDTH)
+            d_inputs[i] = np.bincount((around[i][:, None] * WIDTH + cells).ravel(), flat_back, (CLASSES + 1) * WIDTH).reshape(CLASSES + 1, WIDTH)
         self.past += self.slope**2
         self.flat -= RATE * self.slope / np.sqrt(self.past)
-        self.words, self.steps = self.words + len(kind), self.steps + 1
+        self.words, self.steps = self.words + n, self.steps + 1
 
 
 def trained(corpus: DataFrame, deal: Deal) -> np.ndarray:
@@ -366,17 +402,11 @@ def _scored(rows: DataFrame, flat: np.ndarray) -> DataFrame:
     sent = rows.sparkSession.sparkContext.broadcast(flat.astype(np.float64))
 
     def run(batches):
-        room = np.empty((STEP, CLASSES))
         for batch in batches:
             count, total = batch.column(1).to_numpy(), batch.column(3).to_numpy().copy()
             for row, kind, around in _positions(batch.column(2)):
-                logp = np.zeros(len(kind))
-                for s in range(0, len(kind), STEP):
-                    k = kind[s : s + STEP]
-                    z = _scores(sent.value, around[:, s : s + STEP], room)[1]
-                    logp[s : s + STEP] = z[np.arange(len(k)), k]
-                    logp[s : s + STEP] -= np.log(np.exp(z, out=z).sum(axis=1))
-                total += np.bincount(row, logp, batch.num_rows)
+                logp = [_forward(sent.value, kind[s : s + BLOCK], around[:, s : s + BLOCK])[-1] for s in range(0, len(kind), BLOCK)]
+                total += np.bincount(row, np.concatenate([np.zeros(0), *logp]), batch.num_rows)
             total = np.round(total, 6)
             mean = pa.array(total / np.maximum(count, 1), mask=count == 0)
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(total), mean], ["doc_id", "n_words", "log_likelihood", "mean"])

@@ -66,15 +66,18 @@ def test_a_brute_force_sum(corpus, monkeypatch, frequent):
     mass = Counter()
     for w in names:
         mass[kinds[w]] += n[w] * (n[w] > 1)
-    inputs, out, bias = (x.astype(float) for x in scoring._parts(model.flat))
+    inputs, top, first, out, second = (x.astype(float) for x in scoring._parts(model.flat))
+    each = scoring.CLASSES // scoring.BRANCHES
     got = {r.doc_id: r.log_likelihood for r in scoring.scored(corpus, model).collect() if r.doc_id is not None}
     for i in (1, 2, 3, 902, 900):
         ks, total = [kinds[w] for w in texts[i].split()], 0.0
         for p, w in enumerate(texts[i].split()):
-            h = np.tanh(sum(inputs[j][ks[p + d] if 0 <= p + d < len(ks) else scoring.CLASSES] for j, d in enumerate(scoring.SIDES)))
-            z = out @ h + bias
+            h = sum(inputs[j][ks[p + d] if 0 <= p + d < len(ks) else scoring.CLASSES] for j, d in enumerate(scoring.SIDES))
+            h = h / (1 + abs(h))
+            g, m = divmod(ks[p], each)
+            a, b = top @ h + first, out[g] @ h + second[g]
             share = math.log(n[w] / mass[kinds[w]]) if n[w] > 1 else -math.log(once + 1)
-            total += z[ks[p]] - np.log(np.exp(z).sum()) + share
+            total += a[g] - np.log(np.exp(a).sum()) + b[m] - np.log(np.exp(b).sum()) + share
         assert got[i] == pytest.approx(total, rel=1e-4, abs=1e-3)
 
 
