@@ -52,6 +52,16 @@ def render_map_prompt(question: str, row_json: str, ddl: str, options=None, size
     return map_head(question, ddl, options, sizes, examples) + f"Row: {row_json}\nReply:"
 
 
+#: What parts the values of a reply to several rows.
+SEPARATOR = ";"
+
+
+def render_batch_prompt(question: str, rows: list[str], ddl: str, options=None, sizes=None, examples: bool = True) -> str:
+    """One prompt for several rows (the earlier release's way)."""
+    listed = "\n".join(f"{i}. {row}" for i, row in enumerate(rows, 1))
+    return map_head(question, ddl, options, sizes, examples) + f"Rows:\n{listed}\nReply with one value for each of the {len(rows)} rows, in their order, with {SEPARATOR} between them.\nReply:"
+
+
 def render_ask_prompt(question: str, context_json: str | None = None, ddl: str = "string", options=None, sizes=None) -> str:
     lines = ["Answer briefly.", _kind(ddl, sizes), f"Question: {question}"]
     if context_json is not None:

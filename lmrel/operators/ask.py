@@ -49,7 +49,7 @@ class _Ranked:
         if skill is None or not hasattr(self.inner, "answer"):
             return self.inner.complete(r)
         best = skill.rule(json.loads(r.inputs)["rows"])
-        raw = said(best[: self.k] if self.k is not None else best[0], "array" if self.k is not None else "string")
+        raw = said(best[: self.k] if self.k is not None else best[0] if best else None, "array" if self.k is not None else "string")
         return raw, approx_tokens(r.prompt), approx_tokens(raw)
 
 
@@ -86,28 +86,47 @@ def lm_ask(question: str, rt: Runtime, context: DataFrame | None = None, options
 def _tree(question: str, rt: Runtime, values: DataFrame, column: str, ddl: str, quantifier: str | None, chunk: int):
     """Parts by hash, each answered in its task; their answers are the options of the next level.
 
-    The last level is one prompt, also where parts no longer make the options fewer; if that does not fit, it is refused.
+    A part holds four times as many values as it gives back at least, so a level has a quarter of the
+    values of the one before, or the parts are as small as the window asks for.  The last level is
+    one prompt, also where a level did not shrink by a quarter; if that does not fit, it is refused.
     """
     level, last, k = values, None, parse_quantifier(quantifier)[1] or 1
+    chunk = max(chunk, 4 * k)
     while True:
         n, size = level.agg(F.count(F.lit(1)), F.sum(F.octet_length(column))).first()
-        stuck = last is not None and n >= last
+        stuck = last is not None and 4 * n > 3 * last
         if n <= chunk or stuck:
             try:
                 return lm_ask(question, rt, options=level, return_type="list[str]" if ddl.startswith("array") else "str", quantifier=quantifier)
             except ContextTooLarge:
                 if stuck:
                     raise
-        last, parts = n, max(-(-n // chunk), -(-size // MAX_CHARS))
+        last, parts = n, max(-(-n // chunk), 2 * -(-size // MAX_CHARS))
         provider, constraint_of = _Ranked(rt.provider, k), Constraint.list_of
 
         def run(frame: pd.DataFrame) -> pd.DataFrame:
             own = sorted(frame[column])
             request = Request(question, json.dumps({"rows": own}, ensure_ascii=False), render_ask_prompt(question, None, "array<string>", own, (k, k)), constraint_of("string", 0, k, own))
-            return pd.DataFrame({column: json.loads(provider.complete(request)[0])})
+            raw, tokens_in, tokens_out = provider.complete(request)
+            best, bad = _listed(raw, set(own), k)
+            rows = best or [None]
+            return pd.DataFrame({column: rows, "__in": [tokens_in] + [0] * (len(rows) - 1), "__out": [tokens_out] + [0] * (len(rows) - 1), "__calls": [1] + [0] * (len(rows) - 1), "__bad": [bad] + [0] * (len(rows) - 1)})
 
-        level = keep(level.withColumn("__p", F.pmod(F.xxhash64(column), F.lit(2 * parts))).groupBy("__p").applyInPandas(run, f"{column} string"))
-        rt.record(question, calls=2 * parts, inputs=n, in_tokens=0, out_tokens=0, malformed=0)
+        dealt = level.withColumn("__p", F.pmod(F.xxhash64(column), F.lit(parts)))
+        asked = keep(dealt.groupBy("__p").applyInPandas(run, f"{column} string, __in long, __out long, __calls long, __bad long"))
+        spent = asked.agg(*(F.sum(c) for c in ("__calls", "__in", "__out", "__bad"))).first()
+        rt.record(question, calls=spent[0] or 0, inputs=n, in_tokens=spent[1] or 0, out_tokens=spent[2] or 0, malformed=spent[3] or 0)
+        level = asked.where(F.col(column).isNotNull()).select(column).distinct()
+
+
+def _listed(raw: str, allowed: set[str], k: int) -> tuple[list[str], int]:
+    """The allowed values of a list reply, k at most, each once; 1 with them if the reply held anything else."""
+    try:
+        said_values = json.loads(raw)
+    except ValueError:
+        return [], 1
+    values = list(dict.fromkeys(v for v in said_values if isinstance(v, str) and v in allowed)) if isinstance(said_values, list) else []
+    return values[:k], int(not isinstance(said_values, list) or values[:k] != said_values)
 
 
 def _asked(question: str, rt: Runtime, options: DataFrame, **more):
@@ -138,22 +157,40 @@ def retrieve(df: DataFrame, vector: str, query: list[float], k: int, key: str) -
 
 
 def lm_agg(df: DataFrame, question: str, column: str, by: list[str], name: str, rt: Runtime, most: int = 256) -> DataFrame:
-    """One answer per group over its distinct values; groups are folded in bounded chunks, then once more.
+    """One answer per group over its distinct values, each of them one of the values.
 
-    Chunks are dealt by hash within a group, so no task holds more than its chunk of a group.
+    A group of more than ``most`` values is asked in chunks, dealt by hash, and the chunks' answers
+    again, level by level, so no prompt and no task holds more than about a chunk of a group.  An
+    answer that is none of the values counts as malformed and gives way to the first value.
     """
-    values = df.select(*by, F.col(column).cast("string").alias("__v")).where("__v IS NOT NULL").distinct()
-    provider = rt.provider
+    level = df.select(*by, F.col(column).cast("string").alias("__v")).where("__v IS NOT NULL").distinct()
+    provider, schema = rt.provider, level.schema
+    full = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in schema) + ", __in long, __out long, __bad long"
 
     # Providers read the options only; an automaton of whole texts takes most of the time.
     def run(frame: pd.DataFrame) -> pd.DataFrame:
         own = sorted(frame["__v"])
         request = Request(question, json.dumps({"rows": own}, ensure_ascii=False), render_ask_prompt(question, None, "string", own), Constraint(NONE, "string", tuple(own)))
-        return frame.iloc[:1].assign(__v=_Ranked(provider, None).complete(request)[0])
-
-    schema = values.schema
-    sizes = values.groupBy(*by).agg(F.ceil(F.count(F.lit(1)) / most).alias("__n"))
-    dealt = values.join(sizes, by).withColumn("__c", F.pmod(F.xxhash64("__v"), F.col("__n"))).drop("__n")
-    first = dealt.groupBy(*by, "__c").applyInPandas(lambda f: run(f.drop(columns="__c")), schema)
-    out = first.groupBy(*by).applyInPandas(run, schema)
-    return out.withColumnRenamed("__v", name)
+        raw, tokens_in, tokens_out = _Ranked(provider, None).complete(request)
+        good = raw in set(own)
+        return frame.iloc[:1].assign(__v=raw if good else own[0], __in=tokens_in, __out=tokens_out, __bad=int(not good))
+
+    for depth in range(64):
+        sizes = keep(level.groupBy(*by).agg(F.ceil(F.count(F.lit(1)) / most).alias("__n")))
+        parts, groups = sizes.agg(F.max("__n"), F.sum("__n")).first()
+        if rt.dry or parts is None:
+            rt.record(question, calls=groups or 0, inputs=0, in_tokens=0, out_tokens=0, malformed=0)
+            return level.limit(0).withColumnRenamed("__v", name)
+        right = sizes.select(*(F.col(c).alias(f"__g{i}") for i, c in enumerate(by)), "__n")
+        same = F.col("__v").isNotNull()
+        for i, c in enumerate(by):
+            same = same & F.col(c).eqNullSafe(F.col(f"__g{i}"))
+        dealt = level.join(right, same).select(*level.columns, F.pmod(F.xxhash64(F.lit(depth), "__v"), F.col("__n")).alias("__c"))
+        asked = keep(dealt.groupBy(*by, "__c").applyInPandas(lambda f: run(f.drop(columns="__c")), full))
+        spent = asked.agg(F.count(F.lit(1)), *(F.sum(c) for c in ("__in", "__out", "__bad"))).first()
+        rt.record(question, calls=spent[0], inputs=spent[0], in_tokens=spent[1] or 0, out_tokens=spent[2] or 0, malformed=spent[3] or 0)
+        sizes.unpersist()
+        level = asked.select(*schema.names)
+        if parts == 1:
+            return level.withColumnRenamed("__v", name)
+    raise RuntimeError("the groups did not shrink")

@@ -28,7 +28,9 @@ def _asked(df: DataFrame, e: Expr, rt: Runtime) -> DataFrame:
     names: dict[LmCall, str] = {}
     found = calls(e)
     if rt.features.cf and is_cascadable(e):
-        for part in order_predicates(list(e.parts)):
+        atoms = [p for p in e.parts if isinstance(p, LmAtom) and not p.more]
+        stats = sampled_stats(df, atoms, rt, rt.sampled) if rt.sampled and len(atoms) > 1 else None
+        for part in order_predicates(list(e.parts), stats):
             for c in calls(part):
                 if c not in names:
                     names[c] = f"__lm{len(names)}"
@@ -48,35 +50,79 @@ def filtered(df: DataFrame, e: Expr, rt: Runtime) -> DataFrame:
     return judged(df, e, rt)
 
 
+#: Rows of a wave that are taken in order; larger waves are key ranges, bounded by a sample of so many keys.
+TAKEN, KEYS = 10_000, 2_000
+
+
+def next_wave(rest: DataFrame, key: str, size: int) -> tuple[DataFrame, int, object, bool]:
+    """About the ``size`` first rows of ``rest`` by ``key``, kept: (rows, their number, the last key, whether none is left).
+
+    Small waves are a top-k; large ones are a range of keys whose upper end comes from a hash-chosen
+    sample of the keys, so no sort and no single task holds a wave.
+    """
+    if size <= TAKEN:
+        wave = keep(rest.orderBy(key).limit(size))
+        n, top = wave.agg(F.count(F.lit(1)), F.max(key)).first()
+        return wave, n, top, n < size
+    total = rest.count()
+    keys = sorted(r[0] for r in rest.select(key).orderBy(F.xxhash64(key), key).limit(KEYS).collect())
+    at = math.ceil(size * len(keys) / max(1, total))
+    wave = keep(rest if at >= len(keys) else rest.where(F.col(key) <= F.lit(keys[at])))
+    n, top = wave.agg(F.count(F.lit(1)), F.max(key)).first()
+    return wave, n, top, at >= len(keys)
+
+
 def early_exit(df: DataFrame, e: Expr, k: int, key: str, rt: Runtime, concurrency: int = 32) -> DataFrame:
     """The first k rows by ``key`` (unique, not null) for which ``e`` is true.
 
     Waves of rows in key order; a wave is as large as the hit rate so far makes it likely to end the
-    search.  Answers of earlier waves are not asked again.  The waste is below one wave.
+    search, and after some waves as large as all before, so a limit that is never reached costs a
+    number of waves that grows with the logarithm of the rows.  Answers of earlier waves are not
+    asked again.  The waste is below one wave.
     """
     if rt.features.pre and (cond := relax(e)):
         df = df.where(cond)
     if not rt.features.ee:
         return judged(df, e, rt).orderBy(key).limit(k)
-    found, asked, last, hits = 0, 0, None, []
-    while found < k:
+    found, asked, last, hits, ended = 0, 0, None, [], False
+    while found < k and not ended:
         share = (found + 1) / (asked + 2)
-        size = min(100_000, math.ceil(1.2 * (k - found) / share) + concurrency)
-        wave = keep((df if last is None else df.where(F.col(key) > F.lit(last))).orderBy(key).limit(size))
-        n, top = wave.agg(F.count(F.lit(1)), F.max(key)).first()
+        size = math.ceil(1.2 * (k - found) / share) + concurrency
+        size = max(size, asked) if len(hits) >= 6 else size
+        wave, n, top, ended = next_wave(df if last is None else df.where(F.col(key) > F.lit(last)), key, size)
         if not n:
+            wave.unpersist()
             break
         got = keep(judged(wave, e, rt))
         found, asked, last = found + got.count(), asked + n, top
+        wave.unpersist()  # its hits are kept
         hits.append(got)
-        if n < size:
-            break
     out = hits[0] if hits else df.limit(0)
     for h in hits[1:]:
         out = out.unionByName(h)
     return out.orderBy(key).limit(k)
 
 
+def first_rows(df: DataFrame, e: Expr, k: int, rt: Runtime, concurrency: int = 32) -> DataFrame:
+    """Any k rows for which ``e`` is true, for a LIMIT without an order.
+
+    The first rows that Spark finds are judged, then twice as many or more, up to ten times TAKEN,
+    then all; what was answered before is not asked again.
+    """
+    if rt.features.pre and (cond := relax(e)):
+        df = df.where(cond)
+    size = k + concurrency
+    while rt.features.ed and size <= 10 * TAKEN:
+        part = keep(df.limit(size))
+        n, got = part.count(), keep(judged(part, e, rt))
+        found = got.count()
+        part.unpersist()
+        if found >= k or n < size:
+            return got.limit(k)
+        size = max(2 * size, math.ceil(1.2 * k * (n + 2) / (found + 1)))
+    return judged(df, e, rt).limit(k)
+
+
 @dataclass
 class LmFrame:
     """A frame with the runtime that answers its calls."""

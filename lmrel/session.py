@@ -80,6 +80,7 @@ class Runtime:
     fail_fast: bool = True
     max_calls: int | None = None
     max_pairs: int = 10_000_000
+    sampled: int = 0  # rows on which the calls of a cascade are tried to order them; 0: as written
     cache: object | None = None
     dry: bool = False
     answers: dict = field(default_factory=dict)

@@ -6,10 +6,10 @@ import hashlib
 import json
 import time
 import urllib.request
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 
 from lmrel.functions.constraints import Constraint
-from lmrel.functions.prompts import approx_tokens
+from lmrel.functions.prompts import SEPARATOR, approx_tokens
 from lmrel.functions.skills import BY_QUESTION
 
 
@@ -20,6 +20,7 @@ class Request:
     prompt: str
     constraint: Constraint
     modality: str = "text"
+    batch: tuple[str, ...] | None = None  # the rows of a prompt for several
 
 
 def said(value: object, ddl: str) -> str:
@@ -42,10 +43,13 @@ class RuleProvider:
             raise KeyError(f"the rule reasoner does not know: {r.question}")
         return skill.rule(*json.loads(r.inputs).values())
 
+    def raw(self, r: Request) -> str:
+        return said(self.answer(r), r.constraint.ddl)
+
     def complete(self, r: Request) -> tuple[str, int, int]:
         if self.service_s:
             time.sleep(self.service_s)
-        raw = said(self.answer(r), r.constraint.ddl)
+        raw = f"{SEPARATOR} ".join(self.raw(replace(r, inputs=x, batch=None)) for x in r.batch) if r.batch else self.raw(r)
         return raw, approx_tokens(r.prompt), approx_tokens(raw)
 
 
@@ -63,7 +67,7 @@ class NoisyProvider(RuleProvider):
     def draw(name: str, question: str, inputs: str) -> float:
         return int(hashlib.md5(f"{name}|{question}|{inputs}".encode()).hexdigest()[:8], 16) / 2**32
 
-    def complete(self, r: Request) -> tuple[str, int, int]:
+    def raw(self, r: Request) -> str:
         value, u = self.answer(r), self.draw(self.name, r.question, r.inputs)
         e = self.error.get(r.modality, self.error.get("text", 0.0))
         if u < e:
@@ -72,7 +76,7 @@ class NoisyProvider(RuleProvider):
         raw = said(value, r.constraint.ddl)
         if e <= u < e + self.malformed:
             raw = f"Well, I would say it is: {raw}!!"
-        return raw, approx_tokens(r.prompt), approx_tokens(raw)
+        return raw
 
 
 #: Ours; only their order (audio worst, the larger model better) mirrors published behaviour.

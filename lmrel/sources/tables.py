@@ -10,7 +10,7 @@ def table(spark: SparkSession, folder: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{folder}/{name}.parquet")
 
 
-ANSWERS = "k binary, value string, status string, in_tokens int, out_tokens int, valid boolean"
+ANSWERS = "k binary, value string, status string, in_tokens int, out_tokens int, valid boolean, calls int"
 
 
 class AnswerCache:
@@ -29,4 +29,4 @@ class AnswerCache:
         return self.spark.read.schema(ANSWERS).parquet(self._path(site)).where(F.col("status") == "ok").dropDuplicates(["k"])
 
     def append(self, site: str, answers: DataFrame) -> None:
-        answers.select("k", "value", "status", "in_tokens", "out_tokens", "valid").write.mode("append").parquet(self._path(site))
+        answers.select("k", "value", "status", "in_tokens", "out_tokens", "valid", "calls").write.mode("append").parquet(self._path(site))
