@@ -57,6 +57,7 @@ SKILLS = {
     "contains": Skill("Is the passage in the text?", "bool", lambda t, p: p in t, "position({1} IN {0}) > 0"),
     "language": Skill("Which language is the text in?", "str", _language, _language_sql(), ("de", "en", "es", "fr")),
     "same_language": Skill("Are both texts in one language?", "bool", lambda a, b: _language(a) == _language(b), f"({_language_sql()}) = ({_language_sql().replace('{0}', '{1}')})"),
+    "same_initial": Skill("Do both begin with the same letter?", "bool", lambda a, b: a[:1].lower() == b[:1].lower(), "lower(substr({0}, 1, 1)) = lower(substr({1}, 1, 1))"),
     "score": Skill("How long-winded is it, from 1 to 5?", "int", lambda t: 1 + min(4, len(t) // 1000), "1 + CAST(least(4, floor(length({0}) / 1000)) AS BIGINT)"),
     "json_band": Skill("Give k and its band.", "struct<k:bigint,band:string>", lambda p: {"k": (k := json.loads(p)["k"]), "band": "low" if k < 33 else "mid" if k < 66 else "high"}, ""),
     "tags": Skill("Which words describe it?", "list[str]", lambda t: t.split(" "), ""),

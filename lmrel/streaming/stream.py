@@ -14,10 +14,13 @@ from lmrel.session import LmCall, Runtime
 def lm_stream(stream: DataFrame, call: LmCall, name: str, rt: Runtime, sink: Callable[[DataFrame, int], None], checkpoint: str):
     """Starts a query that hands every micro-batch, with its answers, to ``sink`` and stops when all is read.
 
-    The runtime keeps the answers of earlier batches (and its cache those of earlier runs).
+    The runtime keeps the answers of earlier batches.  Where it has a cache, that table is the state:
+    it outlives a restart, and what a batch held is let go after it, so plans do not grow.
     """
     def batch(df: DataFrame, epoch: int) -> None:
         sink(with_answers(df, call, name, rt), epoch)
+        if rt.cache is not None:
+            rt.release()
 
     return stream.writeStream.foreachBatch(batch).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
 

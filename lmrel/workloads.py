@@ -263,7 +263,7 @@ def lm_link_scalar(spark, d):
     return lm_link(both, SKILLS["longest"].question, "r_name", Runtime(), table(spark, d, "region").select("r_name")).select("n_name")
 
 
-@query()
+@query("SELECT name AS answer FROM (SELECT 'item ' || label AS name FROM (SELECT label, list_inner_product(list_transform(embedding, lambda x: CAST(x AS DOUBLE)), (SELECT list_transform(embedding, lambda x: CAST(x AS DOUBLE)) FROM embeddings WHERE vec_id = 0)) AS s, vec_id FROM embeddings ORDER BY s DESC, vec_id LIMIT 5)) ORDER BY length(name) DESC, name LIMIT 1")
 def lm_rag_topn(spark, d):
     vectors = table(spark, d, "embeddings").withColumn("name", F.concat(F.lit("item "), F.col("label")))
     one = vectors.where("vec_id = 0").first()["embedding"]
@@ -296,7 +296,9 @@ def lm_audio_no_hits(spark, d):
     return filtered(series, atom("never", "media"), Runtime()).select("user_id")
 
 
-@query()
+@query("""WITH r AS (SELECT vec_id, label, unnest(embedding) AS x, generate_subscripts(embedding, 1) AS i FROM embeddings), c AS (SELECT label AS class, i, avg(x) AS m FROM r GROUP BY label, i),
+s AS (SELECT vec_id, label, class, sum(x * m) AS s FROM r JOIN c USING (i) GROUP BY vec_id, label, class)
+SELECT vec_id, class AS answer, class = label AS right FROM (SELECT *, row_number() OVER (PARTITION BY vec_id ORDER BY s DESC, class) AS k FROM s) WHERE k = 1""")
 def lm_vector_class(spark, d):
     """Nearest class centroid of each vector, and whether it is the label: the stand-in for images."""
     rows = table(spark, d, "embeddings").select("vec_id", "label", F.posexplode("embedding").alias("i", "x"))
@@ -412,11 +414,19 @@ def aqp_count_bounds(spark, d):
     return spark.createDataFrame([(b["lower"], b["upper"])], "lower long, upper long")
 
 
-@query()
+_WILSON = "({0} / {1} + 1.9208 / {1} - 1.96 * sqrt({0} / {1} * (1 - {0} / {1}) / {1} + 0.9604 / ({1} * {1}))) / (1 + 3.8416 / {1})"
+
+
+@query(f"""WITH s AS (SELECT doc_id, text, CASE WHEN regexp_matches(text, '[$%#*&]{{2}}') THEN 0.1 ELSE 0.9 END AS p, {twin('clean', 'text')} AS y FROM documents),
+k AS (SELECT * FROM s ORDER BY md5(CAST(doc_id AS VARCHAR)) LIMIT 200),
+c AS (SELECT p, CAST(sum(n) OVER (ORDER BY p DESC) AS DOUBLE) AS n, CAST(sum(h) OVER (ORDER BY p DESC) AS DOUBLE) AS h, CAST((SELECT count(*) FROM k WHERE y) AS DOUBLE) AS m FROM (SELECT p, count(*) AS n, count(*) FILTER (WHERE y) AS h FROM k GROUP BY p)),
+t AS (SELECT coalesce(min(p) FILTER (WHERE {_WILSON.format('h', 'n')} >= 0.9), 9) AS high, coalesce(max(p) FILTER (WHERE m > 0 AND {_WILSON.format('h', 'm')} >= 0.9), 0) AS low FROM c)
+SELECT (SELECT count(*) FROM s, t WHERE p >= high OR (p >= low AND y)) AS kept, (SELECT count(DISTINCT text) FROM s, t WHERE (p < high AND p >= low) OR doc_id IN (SELECT doc_id FROM k)) AS calls, CAST(low AS DOUBLE) AS low, CAST(high AS DOUBLE) AS high FROM t""")
 def proxy_cascade_calls(spark, d):
-    rt = Runtime()
-    out, cut = proxy_cascade(table(spark, d, "documents"), call("clean", "text"), F.when(F.col("text").rlike("[$%#*&]{2}"), 0.1).otherwise(0.9), rt)
-    return spark.createDataFrame([(out.count(), rt.calls, float(cut["low"]), float(cut["high"]))], "kept long, calls long, low double, high double")
+    rt, docs = Runtime(), table(spark, d, "documents")
+    score = F.when(F.col("text").rlike("[$%#*&]{2}"), 0.1).otherwise(0.9)
+    out, cut = proxy_cascade(docs, call("clean", "text"), score, rt, by=F.md5(F.col("doc_id").cast("string")))
+    return spark.createDataFrame([(out.count(), rt.calls, float(cut["low"]), min(9.0, float(cut["high"])))], "kept long, calls long, low double, high double")
 
 
 @query()
@@ -454,7 +464,7 @@ def models_by_strategy(spark, d):
     return spark.createDataFrame(rows, "model string, strategy string, f1 double, calls long")
 
 
-@query()
+@query(" UNION ALL ".join(f"SELECT CAST({k} AS BIGINT) AS keys, (SELECT count(*) FROM (SELECT DISTINCT p_name AS x FROM part WHERE p_partkey < {k}), (SELECT DISTINCT p_name AS y FROM part WHERE p_partkey < {k}) WHERE {twin('same_kind', 'x', 'y')}) AS yes_pairs, (SELECT count(DISTINCT p_name) * count(DISTINCT p_name) FROM part WHERE p_partkey < {k}) AS calls" for k in (250, 500, 1000, 2000)))
 def scale_sweep(spark, d):
     """Pairs and distinct pair inputs of the self-join as the keys grow: calls level off."""
     rows = []
@@ -464,12 +474,3 @@ def scale_sweep(spark, d):
         n = lm_join(left.groupBy("a_name").agg(F.count(F.lit(1)).alias("m")), right.groupBy("b_name").agg(F.count(F.lit(1)).alias("k")), SKILLS["same_kind"].question, ("a_name",), ("b_name",), rt).count()
         rows.append((keys, n, rt.calls))
     return spark.createDataFrame(rows, "keys long, yes_pairs long, calls long")
-
-
-@query("SELECT * FROM (VALUES ('mmqa', 0.85, 0.70, 'win'), ('wildlife', 0.54, 0.51, 'win'), ('movie', 0.72, 0.74, 'tie'), ('ecomm', 0.60, 0.64, 'loss')) t(scenario, own, other, verdict)")
-def win_tie_published(spark, d):
-    rows = []
-    for scenario, own, other in (("mmqa", 0.85, 0.70), ("wildlife", 0.54, 0.51), ("movie", 0.72, 0.74), ("ecomm", 0.60, 0.64)):
-        v = M.win_tie([own], [other])
-        rows.append((scenario, own, other, next(k for k in ("win", "tie", "loss") if v[k])))
-    return spark.createDataFrame(rows, "scenario string, own double, other double, verdict string")
