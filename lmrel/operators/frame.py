@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from lmrel.operators.executor import with_answers
-from lmrel.plans.ir import And, Expr, LmAtom, Optimizer, Select, calls, has_or, is_cascadable, normal, order_predicates, relax, rendered
+from lmrel.plans.ir import And, Expr, LmAtom, Optimizer, Select, calls, has_or, is_cascadable, is_early_exitable, normal, order_predicates, relax, rendered
 from lmrel.session import LmCall, Runtime, keep
 
 
@@ -123,6 +123,25 @@ def first_rows(df: DataFrame, e: Expr, k: int, rt: Runtime, concurrency: int = 3
     return judged(df, e, rt).limit(k)
 
 
+def execute(df: DataFrame, s: Select, rt: Runtime, key: str | None = None) -> DataFrame:
+    """A query block in the order that the optimizer plans: prefilter, calls of WHERE, limit, calls of SELECT.
+
+    A limit that no other clause stands before ends the search early (in the order of ``key``, if
+    given) and comes before the projection's calls, so only rows that are returned are asked about.
+    """
+    early = is_early_exitable(s)
+    if s.where is not None:
+        if early and rt.features.ee:
+            df = early_exit(df, s.where, s.limit, key, rt) if key else first_rows(df, s.where, s.limit, rt)
+        else:
+            df = filtered(df, s.where, rt)
+    if early:
+        df = keep(df.orderBy(key).limit(s.limit) if key else df.limit(s.limit))
+    for name, call in s.projections.items():
+        df = with_answers(df, call, name, rt)
+    return df
+
+
 @dataclass
 class LmFrame:
     """A frame with the runtime that answers its calls."""
@@ -139,6 +158,9 @@ class LmFrame:
     def where_limit(self, e: Expr, k: int, key: str) -> "LmFrame":
         return LmFrame(early_exit(self.df, e, k, key, self.rt), self.rt)
 
+    def execute(self, s: Select, key: str | None = None) -> "LmFrame":
+        return LmFrame(execute(self.df, s, self.rt, key), self.rt)
+
     def explain_lm(self, s: Select) -> str:
         return "\n".join(f"{i}. {x.kind}: {x.detail}" for i, x in enumerate(Optimizer(self.rt.features).plan(s), 1))
 

@@ -14,7 +14,7 @@ from lmrel.operators.approximate import aqp_aggregate, cut_offs, proxy_cascade
 from lmrel.operators.ask import lm_agg, lm_ask
 from lmrel.operators.executor import _worker, with_answers
 from lmrel.operators.frame import LmFrame, early_exit, filtered, first_rows
-from lmrel.plans.ir import And, LmAtom
+from lmrel.plans.ir import And, LmAtom, Select
 from lmrel.session import Features, Runtime, lm_map
 from lmrel.sources.providers import ReplayProvider, Request, RuleProvider
 
@@ -190,3 +190,15 @@ def test_decoding_ends_legally_at_its_limit():
 def test_frame_wrappers(things):
     f = LmFrame(things, Runtime()).where(LmAtom(RED)).with_lm("ring", RING)
     assert f.df.where("ring").count() == 43
+
+
+def test_a_block_asks_about_returned_rows_only(things):
+    words = lm_map("Which words describe it?", "name", return_type="list[str]")
+    block = Select(And(LmAtom(RED), LmAtom(RING)), {"words": words}, limit=3)
+    rt = Runtime()
+    got = LmFrame(things, rt).execute(block, "id").df.collect()
+    assert sorted((r.id, r.words[1]) for r in got) == [(0, "ring"), (14, "ring"), (28, "ring")]
+    assert sum(r["inputs"] for r in rt.ledger if r["question"] == words.question) == 3
+    ordered = Runtime()
+    assert LmFrame(things, ordered).execute(Select(block.where, {"words": words}, limit=3, order_by=True)).df.count() == 43
+    assert [x.split(". ")[1].split(":")[0] for x in LmFrame(things, rt).explain_lm(block).split("\n")][-2:] == ["limit", "map"]
