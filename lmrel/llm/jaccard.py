@@ -3,7 +3,7 @@
 Shingles are hashed into groups; a set's group counts are a point, and two sets share at most the
 sum of the coordinate minima of their points.  Sets meet where they share one of their PREFIX
 shingles of least hash (or the shorter prefix that any order of shingles makes exact).  There an
-R-tree of the points (tiles with bounding corners) finds the pairs that the bound lets pass, and
+R-tree of the points (boxes with both corners, level by level) finds the pairs that the bound lets pass, and
 what is already connected is not compared again, so a group of g near copies gives at most g - 1
 links.  The classes of these possible links are then settled by the same search with the exact
 overlap of the sets in place of the bound.
@@ -17,6 +17,7 @@ from __future__ import annotations
 
 import hashlib
 from collections.abc import Callable, Iterator
+from functools import cached_property
 
 import numpy as np
 import pyarrow as pa
@@ -27,8 +28,10 @@ from .common import components, lean, reliable, table
 from .grams import each_slab, window_hashes
 
 SHINGLE, PREFIX, LEAST_GROUPS, MOST_GROUPS = 5, 32, 64, 4096
-#: Rows of a tile; rows of a bucket, and shingles of a class, beyond which it is split into blocks.
-TILE, BUCKET_ROWS, CLASS_SHINGLES = 64, 20_000, 3_000_000
+#: Rows of a tile and boxes of a box of the tree.
+TILE, FANOUT = 64, 8
+#: Rows of a bucket, and shingles of a class, beyond which it is split into blocks.
+BUCKET_ROWS, CLASS_SHINGLES = 20_000, 3_000_000
 #: Sets of a class of many blocks that are compared in all of its blocks.
 HUBS = 16
 #: Bits of the sieve that keeps texts of no class out of a shuffle; it is broadcast as SIEVE_BITS / 64 rows at most.
@@ -124,52 +127,107 @@ class Forest:
 Check = Callable[[int, np.ndarray], np.ndarray]
 
 
+def fold(m: np.ndarray, groups: int) -> np.ndarray:
+    """Points or corners (last axis) at ``groups`` groups."""
+    return m if m.shape[-1] == groups else m.reshape(*m.shape[:-1], -1, groups).sum(axis=-2)
+
+
+class Box:
+    """A node of the tree: a tile of rows with their points, or up to FANOUT boxes below it.
+
+    Its corners are the least and the largest count of its rows in each group; folded corners stay
+    bounds of the folded points.
+    """
+
+    def __init__(self, n: np.ndarray, rows: np.ndarray, points: np.ndarray | None = None, kids: list["Box"] | None = None):
+        self.rows, self.points, self.kids = rows, points, kids or []
+        self.low, self.high = int(n[rows].min()), int(n[rows].max())
+
+    @cached_property
+    def upper(self) -> np.ndarray:
+        return self.points.max(axis=0).astype(np.int32) if not self.kids else np.max([k.upper for k in self.kids], axis=0)
+
+    @cached_property
+    def lower(self) -> np.ndarray:
+        return self.points.min(axis=0).astype(np.int32) if not self.kids else np.min([k.lower for k in self.kids], axis=0)
+
+
+def box_tree(n: np.ndarray, points: list[np.ndarray], rows: np.ndarray, groups: int) -> Box:
+    """The root over ``rows``, in packing order, whose points have ``groups`` groups."""
+    cut = lambda items, size: [items[i : i + size] for i in range(0, len(items), size)]
+    boxes = [Box(n, t, folded([points[r] for r in t.tolist()], groups)) for t in cut(rows, TILE)]
+    while len(boxes) > 1:
+        boxes = [Box(n, np.concatenate([b.rows for b in kids]), kids=kids) for kids in cut(boxes, FANOUT)]
+    return boxes[0]
+
+
+def may_link(xs: list[Box], ys: list[Box], groups: int) -> np.ndarray:
+    """For every two boxes whether sizes and corners let a row of the one link with a row of the other.
+
+    Two rows share at most the sum of the minima of the upper corners, and a row shares nothing of
+    what its box's lower corner has beyond the other box's upper corner.
+    """
+    (xl, xh), (yl, yh) = (np.array([(b.low, b.high) for b in side]).T for side in (xs, ys))
+    xl, xh = xl[:, None], xh[:, None]
+    (x0, x1), (y0, y1) = ((fold(np.stack([b.lower for b in side]), groups), fold(np.stack([b.upper for b in side]), groups)) for side in (xs, ys))
+    most = np.minimum(x1[:, None], y1[None]).sum(axis=2, dtype=np.int64)
+    beyond_x = np.maximum(x0[:, None] - y1[None], 0).sum(axis=2, dtype=np.int64)
+    beyond_y = np.maximum(y0[None] - x1[:, None], 0).sum(axis=2, dtype=np.int64)
+    return (7 * most >= 3 * (xl + yl)) & (4 * xh - 3 * yl >= 7 * beyond_x) & (4 * yh - 3 * xl >= 7 * beyond_y)
+
+
 def tree_links(n: np.ndarray, points: list[np.ndarray], check: Check | None = None, label: np.ndarray | None = None) -> list[tuple[int, int]]:
     """A spanning forest of the pairs whose bound (and, if given, ``check``) reaches the threshold.
 
-    Rows are packed into tiles of one number of groups by size and then by a coordinate; a pair of
-    tiles is opened only if sizes and bounding corners let a link exist and it is not connected throughout.  Two tiles are
+    Rows of one number of groups make one tree, packed by size and then by a coordinate.  Trees are
+    joined from their roots down, each with itself first: two boxes are opened only if sizes and
+    corners let a link exist and their rows are not connected throughout.  Boxes of two trees are
     compared at the groups of the smaller sizes.  Rows of equal ``label`` are connected from the start.
     """
-    count, forest = len(n), Forest(len(n), label)
+    forest = Forest(len(n), label)
     half = np.array([p[: len(p) // 2].sum() / max(1, p.sum()) for p in points])
-    order = np.argsort(n, kind="stable")
-    own_level = np.array([len(points[r]) for r in order.tolist()])
-    start = np.searchsorted(own_level, own_level)
-    slab = (np.arange(count) - start) // (8 * TILE)
-    order = order[np.lexsort((half[order], slab, own_level))]
-    edges = [*np.unique(start).tolist(), count]
-    tiles = [order[i : min(i + TILE, z)] for a, z in zip(edges[:-1], edges[1:]) for i in range(a, z, TILE)]
-    level = np.array([len(points[t[0]]) for t in tiles])
-    own_points = [folded([points[r] for r in t.tolist()], int(g)) for t, g in zip(tiles, level)]
-    fold = lambda m, g: m if m.shape[-1] == g else m.reshape(*m.shape[:-1], -1, g).sum(axis=-2)
-    low, high = np.array([n[t].min() for t in tiles]), np.array([n[t].max() for t in tiles])
-    corner = [m.max(axis=0).astype(np.int64) for m in own_points]
-    corners: dict[int, np.ndarray] = {}
-    for i, own in enumerate(tiles):
-        g = int(level[i])
-        if g not in corners:
-            corners = {g: np.stack([fold(c, g) for c in corner[i:]])}
-            base = i
-        later = np.arange(i, len(tiles))
-        later = later[(4 * high[i] >= 3 * low[later]) & (4 * high[later] >= 3 * low[i])]
-        later = later[7 * np.minimum(corner[i], corners[g][later - base]).sum(axis=1) >= 3 * (low[i] + low[later])]
-        for j in later.tolist():
-            other = tiles[j]
-            ra, rb = forest.roots(own), forest.roots(other)
-            if ra.min() == max(ra.max(), rb.max()) and rb.min() == ra.min():
-                continue
-            shared = np.minimum(own_points[i][:, None, :], fold(own_points[j], g)[None, :, :]).sum(axis=2, dtype=np.int64)
-            reach = (7 * shared >= 3 * (n[own][:, None] + n[other][None, :])) & (ra[:, None] != rb[None, :])
-            if i == j:
-                reach = np.triu(reach, 1)
-            for x in np.flatnonzero(reach.any(axis=1)):
-                a, b = int(own[x]), other[reach[x]]
-                b = b[forest.roots(b) != forest.root(a)]
-                if check is not None and len(b):
-                    b = b[check(a, b)]
-                for y in b.tolist():
-                    forest.join(a, y)
+    levels = np.array([len(p) for p in points])
+    trees = []
+    for g in np.unique(levels).tolist():
+        own = np.flatnonzero(levels == g)
+        own = own[np.argsort(n[own], kind="stable")]
+        own = own[np.lexsort((half[own], np.arange(len(own)) // (FANOUT * TILE)))]
+        trees.append((box_tree(n, points, own, g), g))
+
+    def compare(x: Box, y: Box, g: int) -> None:
+        rx, ry = forest.roots(x.rows), forest.roots(y.rows)
+        shared = np.minimum(x.points[:, None, :], fold(y.points, g)[None, :, :]).sum(axis=2, dtype=np.int64)
+        reach = (7 * shared >= 3 * (n[x.rows][:, None] + n[y.rows][None, :])) & (rx[:, None] != ry[None, :])
+        if x is y:
+            reach = np.triu(reach, 1)
+        for i in np.flatnonzero(reach.any(axis=1)):
+            a, b = int(x.rows[i]), y.rows[reach[i]]
+            b = b[forest.roots(b) != forest.root(a)]
+            if check is not None and len(b):
+                b = b[check(a, b)]
+            for other in b.tolist():
+                forest.join(a, other)
+
+    def meet(x: Box, y: Box, g: int) -> None:
+        first = forest.root(int(x.rows[0]))
+        if (forest.roots(x.rows) == first).all() and (x is y or (forest.roots(y.rows) == first).all()):
+            return
+        if not x.kids and not y.kids:
+            compare(x, y, g)
+            return
+        xs, ys = x.kids or [x], y.kids or [y]
+        if x is y:
+            for box in xs:
+                meet(box, box, g)
+        open_ = may_link(xs, ys, g)
+        for i, j in zip(*np.nonzero(np.triu(open_, 1) if x is y else open_)):
+            meet(xs[i], ys[j], g)
+
+    for at, (x, g) in enumerate(trees):
+        meet(x, x, g)
+        for y, _ in trees[at + 1 :]:
+            if may_link([x], [y], g)[0, 0]:
+                meet(x, y, g)
     return forest.links
 
 

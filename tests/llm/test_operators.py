@@ -94,6 +94,47 @@ def test_tree_compares_at_the_groups_of_the_smaller_set():
     assert jaccard.tree_links(n, points, None, np.where(np.arange(len(n)) >= 151, 151, np.arange(len(n)))) != []
 
 
+def test_tree_finds_what_all_pairs_find(monkeypatch):
+    monkeypatch.setattr(jaccard, "TILE", 3)
+    monkeypatch.setattr(jaccard, "FANOUT", 2)
+    r = np.random.default_rng(11)
+    sets = []
+    for size in (1, 7, 90, 260, 300, 700):
+        base = np.unique(r.integers(0, 2**63, size, dtype=np.uint64))
+        for cut in (0, 0.1, 0.2, 0.3, 0.6):
+            drop = int(len(base) * cut)
+            for _ in range(4):
+                sets.append(np.unique(np.concatenate([r.permutation(base)[drop:], r.integers(0, 2**63, drop // 2, dtype=np.uint64)])))
+    sets = [sets[i] for i in r.permutation(len(sets))]
+    n, points = np.array([len(s) for s in sets]), [jaccard.point(s) for s in sets]
+
+    def exact(a, others):
+        return np.array([100 * len(np.intersect1d(sets[a], sets[b])) >= 75 * len(np.union1d(sets[a], sets[b])) for b in others])
+
+    def classes(links):
+        forest = jaccard.Forest(len(sets))
+        for a, b in links:
+            forest.join(int(a), int(b))
+        return forest.roots(np.arange(len(sets))).tolist()
+
+    pairs = list(combinations(range(len(sets)), 2))
+    assert classes(jaccard.tree_links(n, points, exact)) == classes([p for p in pairs if exact(p[0], [p[1]])[0]])
+    bound = [(a, b) for a, b in pairs if 7 * int(np.minimum(*jaccard.folded([points[a], points[b]], min(len(points[a]), len(points[b]))).astype(int)).sum()) >= 3 * (n[a] + n[b])]
+    assert classes(jaccard.tree_links(n, points)) == classes(bound)
+
+
+def test_corners_rule_out_no_link():
+    r = np.random.default_rng(4)
+    for _ in range(200):
+        x, y = (np.array([r.poisson(4, 64) + common for _ in range(3)]) for common in [r.poisson(2, 64)] * 2)
+        n = np.concatenate([x.sum(axis=1), y.sum(axis=1)])
+        a, b = jaccard.Box(n, np.arange(3), x), jaccard.Box(n, np.arange(3, 6), y)
+        linked = any(7 * np.minimum(u, v).sum() >= 3 * (u.sum() + v.sum()) for u in x for v in y)
+        assert jaccard.may_link([a], [b], 64)[0, 0] or not linked
+        folded = any(7 * np.minimum(jaccard.fold(u, 32), jaccard.fold(v, 32)).sum() >= 3 * (u.sum() + v.sum()) for u in x for v in y)
+        assert jaccard.may_link([a], [b], 32)[0, 0] or not folded
+
+
 def test_substring_dedup(docs, rows, none):
     texts = {i: WORD.findall(t or "") for i, t, *_ in rows if i is not None}
     least = {}
