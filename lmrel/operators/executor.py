@@ -8,6 +8,7 @@ import time
 from collections import deque
 from collections.abc import Iterator
 from concurrent.futures import ThreadPoolExecutor
+from dataclasses import replace
 
 import pandas as pd
 from pyspark.sql import Column, DataFrame
@@ -16,7 +17,8 @@ from pyspark.sql import functions as F
 from lmrel.functions.constraints import ScoredToyModel, constrained_decode, parse_lenient
 from lmrel.functions.prompts import SEPARATOR, render_batch_prompt, render_map_prompt
 from lmrel.functions.types import parse_quantifier
-from lmrel.session import LmCall, Runtime, keep
+from lmrel.session import LmCall, Runtime, keep, materialise
+from lmrel.sources import media
 from lmrel.sources.providers import Request
 from lmrel.sources.tables import ANSWERS
 
@@ -39,7 +41,8 @@ def _worker(call: LmCall, rt: Runtime):
     """Rows (inputs as JSON) to answers in input order, at most ``max_concurrency`` requests in flight.
 
     The window of requests goes on over the Arrow batches of a task, so it holds at most that many
-    inputs and FRAME answers, however many rows come.
+    inputs and FRAME answers, however many rows come.  Media are read by the thread that sends the
+    request, so at most ``max_concurrency`` times a request's references are in memory.
     """
     provider, constraint, cd, b = rt.provider, call.constraint, rt.features.cd, rt.features.batch
     ddl, sizes, options, retries, fail_fast = call.ddl, parse_quantifier(call.quantifier), call.options, rt.retries, rt.fail_fast
@@ -48,8 +51,9 @@ def _worker(call: LmCall, rt: Runtime):
     def sent(request: Request) -> tuple | None:
         for attempt in range(retries + 1):
             try:
-                return provider.complete(request)
-            except ValueError:  # the model cannot take this request, so again is no use
+                files = media.loaded(request.batch or (request.inputs,))  # held until the reply only
+                return provider.complete(replace(request, media=files) if files else request)
+            except (FileNotFoundError, ValueError):  # the model cannot take this request, so again is no use
                 if fail_fast:
                     raise
                 return None
@@ -127,7 +131,9 @@ def ask_rows(inputs: DataFrame, call: LmCall, rt: Runtime) -> DataFrame:
         n = inputs.count()
         rt.record(call, calls=-(-n // rt.features.batch), inputs=n, in_tokens=0, out_tokens=0, malformed=0)
         return inputs.select("k", *(F.lit(None).cast(t).alias(c) for c, t in (x.split() for x in ANSWERS.split(", ")[1:])))
-    got = keep(inputs.mapInPandas(_worker(call, rt), ANSWERS))
+    if rt.answers_in == "none":
+        raise ValueError("answers are used more than once, so they have to be kept")
+    got = materialise(inputs.mapInPandas(_worker(call, rt), ANSWERS), rt.answers_in)
     spent = got.agg(F.count(F.lit(1)), F.sum("in_tokens"), F.sum("out_tokens"), F.sum((~F.col("valid")).cast("int")), F.sum("calls")).first()
     rt.record(call, calls=spent[4] or 0, inputs=spent[0], in_tokens=spent[1] or 0, out_tokens=spent[2] or 0, malformed=spent[3] or 0, modality=call.modality)
     if rt.cache is not None:

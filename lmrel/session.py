@@ -82,6 +82,7 @@ class Runtime:
     max_pairs: int = 10_000_000
     sampled: int = 0  # rows on which the calls of a cascade are tried to order them; 0: as written
     cache: object | None = None
+    answers_in: str = "auto"  # how answers are kept, see materialise
     dry: bool = False
     answers: dict = field(default_factory=dict)
     ledger: list = field(default_factory=list)
@@ -104,8 +105,32 @@ class Runtime:
         self.answers.clear()
 
 
-def keep(df: DataFrame) -> DataFrame:
-    """A barrier before a second use: answers are computed once (and again only if an executor is lost)."""
+def materialise(df: DataFrame, mode: str = "cache") -> DataFrame:
+    """A barrier before a second use.
+
+    ``cache`` keeps rows on the executors' disks, so a lost executor's rows are computed again;
+    ``checkpoint`` writes them to the session's checkpoint folder at once and cuts the lineage;
+    ``auto`` is a checkpoint where the session has such a folder and else the cache; ``none`` is no
+    barrier, for a single use.
+    """
     from pyspark import StorageLevel
 
+    if mode not in ("auto", "cache", "checkpoint", "none"):
+        raise ValueError(f"unknown mode {mode}")
+    if mode == "none":
+        return df
+    context = df.sparkSession.sparkContext
+    unset = context._jsc.sc().getCheckpointDir().isEmpty()
+    named = context.getConf().get("spark.checkpoint.dir")
+    if unset and named and mode != "cache":
+        context.setCheckpointDir(named)
+    if mode == "checkpoint" and unset and not named:
+        raise ValueError("the session names no checkpoint folder")
+    if mode == "checkpoint" or mode == "auto" and named:
+        return df.checkpoint()
     return df.persist(StorageLevel.DISK_ONLY)
+
+
+def keep(df: DataFrame) -> DataFrame:
+    """Rows that can be had again without a call, on the executors' disks."""
+    return materialise(df, "cache")

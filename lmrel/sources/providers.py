@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import base64
 import hashlib
 import json
 import time
@@ -21,6 +22,7 @@ class Request:
     constraint: Constraint
     modality: str = "text"
     batch: tuple[str, ...] | None = None  # the rows of a prompt for several
+    media: tuple[tuple[str, bytes], ...] = ()  # (kind, bytes) of the references among the inputs
 
 
 def said(value: object, ddl: str) -> str:
@@ -115,7 +117,9 @@ class HttpProvider:
     def complete(self, r: Request) -> tuple[str, int, int]:
         if approx_tokens(r.prompt) > self.max_len:
             raise ValueError("the prompt is longer than the model's window")
-        body = {"model": self.model, "temperature": 0, "messages": [{"role": "user", "content": r.prompt}]}
+        files = [{"type": f"{kind}_url", f"{kind}_url": {"url": f"data:{kind}/*;base64,{base64.b64encode(own).decode()}"}} for kind, own in r.media]
+        content = [*files, {"type": "text", "text": r.prompt}] if files else r.prompt
+        body = {"model": self.model, "temperature": 0, "messages": [{"role": "user", "content": content}]}
         if pattern := r.constraint.regex():
             body["guided_regex"] = pattern
         headers = {"Content-Type": "application/json"} | ({"Authorization": f"Bearer {self.api_key}"} if self.api_key else {})

@@ -458,7 +458,7 @@ def models_by_strategy(spark, d):
     part, rows = table(spark, d, "part"), []
     truth = filtered(part, atom("red", "p_name"), Runtime()).select("p_partkey")
     for model in ("small-2b", "small-4b", "dense-4b", "dense-12b"):
-        for s in ("v0", "lazy", "ours"):
+        for s in ("v0", "eager", "lazy", "aqp", "ours"):
             df, rt = run(Workload(part, atom("red", "p_name"), "p_partkey"), s, PROFILES[model])
             rows.append((model, s, round(M.f1(df.select("p_partkey"), truth, ["p_partkey"])["f1"], 6), rt.calls))
     return spark.createDataFrame(rows, "model string, strategy string, f1 double, calls long")
