@@ -190,23 +190,14 @@ def lm_cascade_pair(spark, d):
 
 
 # --- joins ----------------------------------------------------------------------------------------
-def _sides(spark, d, keys=200):
+def _sides(spark, d, keys):
     part = table(spark, d, "part").where(F.col("p_partkey") < keys)
     return part.select(F.col("p_partkey").alias("a"), F.col("p_name").alias("a_name")), part.select(F.col("p_partkey").alias("b"), F.col("p_name").alias("b_name"))
 
 
-_PAIRS = "FROM part x, part y WHERE x.p_partkey < 200 AND y.p_partkey < 200 AND x.p_partkey < y.p_partkey"
-
-
-@query(f"SELECT x.p_partkey AS a, y.p_partkey AS b {_PAIRS} AND {twin('same_kind', 'x.p_name', 'y.p_name')}")
-def lm_join_same_kind(spark, d):
-    left, right = _sides(spark, d)
-    return lm_join(left, right, SKILLS["same_kind"].question, ("a_name",), ("b_name",), Runtime(), on="a < b").select("a", "b")
-
-
 @query(f"SELECT x.p_name AS a_name, y.p_name AS b_name, count(*) AS n FROM part x, part y WHERE x.p_partkey < y.p_partkey AND {twin('same_kind', 'x.p_name', 'y.p_name')} GROUP BY 1, 2")
-def lm_join_same_kind_all(spark, d):
-    """``lm_join_same_kind`` over the whole table: the pairs of keys a < b counted by pair of names."""
+def lm_join_same_kind(spark, d):
+    """Pairs of keys a < b of the whole table, counted by pair of names."""
     part = table(spark, d, "part").select("p_partkey", "p_name")
     a, b = (part.select(F.col("p_name").alias(c)).distinct() for c in ("a_name", "b_name"))
     yes = lm_join(a, b, SKILLS["same_kind"].question, ("a_name",), ("b_name",), Runtime())
@@ -234,18 +225,9 @@ def lm_join_anti(spark, d):
     return lm_join(docs, items, SKILLS["contains"].question, ("text",), ("passage",), Runtime(), how="left_anti").select("doc_id")
 
 
-@query("SELECT p_name, count(*) AS n FROM part a, (SELECT p_name AS other FROM part WHERE p_partkey < 200) b WHERE split_part(p_name, ' ', 2) = split_part(other, ' ', 2) GROUP BY p_name")
-def lm_cross_dedup(spark, d):
-    left = table(spark, d, "part").select("p_partkey", "p_name")
-    right = table(spark, d, "part").where("p_partkey < 200").select(F.col("p_name").alias("other"))
-    counts = right.groupBy("other").agg(F.count(F.lit(1)).alias("c"))
-    names = left.groupBy("p_name").agg(F.count(F.lit(1)).alias("n0"))
-    return lm_join(names, counts, SKILLS["same_kind"].question, ("p_name",), ("other",), Runtime()).groupBy("p_name").agg((F.first("n0") * F.sum("c")).cast("long").alias("n"))
-
-
 @query("SELECT p_name, count(*) AS n FROM part a, (SELECT p_name AS other FROM part) b WHERE split_part(p_name, ' ', 2) = split_part(other, ' ', 2) GROUP BY p_name")
-def lm_cross_dedup_all(spark, d):
-    """``lm_cross_dedup`` against the whole table."""
+def lm_cross_dedup(spark, d):
+    """Each name with the number of key pairs of the whole table that it makes."""
     names = table(spark, d, "part").groupBy("p_name").agg(F.count(F.lit(1)).alias("n0"))
     counts = names.select(F.col("p_name").alias("other"), F.col("n0").alias("c"))
     return lm_join(names, counts, SKILLS["same_kind"].question, ("p_name",), ("other",), Runtime()).groupBy("p_name").agg((F.first("n0") * F.sum("c")).cast("long").alias("n"))
@@ -271,14 +253,9 @@ def lm_rag_topn(spark, d):
     return spark.createDataFrame([(lm_ask(SKILLS["longest"].question, Runtime(), options=near.select("name")),)], "answer string")
 
 
-@query("SELECT lang, text FROM (SELECT lang, text, row_number() OVER (PARTITION BY lang ORDER BY length(text) DESC, text) AS r FROM (SELECT DISTINCT lang, text FROM documents WHERE n_chars < 400)) WHERE r = 1")
-def lm_group_ask(spark, d):
-    return lm_agg(table(spark, d, "documents").where("n_chars < 400"), SKILLS["longest"].question, "text", ["lang"], "text", Runtime())
-
-
 @query("SELECT lang, text FROM (SELECT lang, text, row_number() OVER (PARTITION BY lang ORDER BY length(text) DESC, text) AS r FROM (SELECT DISTINCT lang, text FROM documents WHERE text IS NOT NULL)) WHERE r = 1")
-def lm_group_ask_all(spark, d):
-    """``lm_group_ask`` over the whole table."""
+def lm_group_ask(spark, d):
+    """The longest text of each language, of all texts."""
     return lm_agg(table(spark, d, "documents"), SKILLS["longest"].question, "text", ["lang"], "text", Runtime())
 
 
